@@ -42,6 +42,13 @@ def small(df: DataFrame, rows: int) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+def lean_batches(spark: SparkSession, rows: int = 1000) -> None:
+    """Whole texts cross to Python in batches of fewer rows than Spark's default, so that long ones fit in memory."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= rows:
+        spark.conf.set(key, str(rows))
+
+
 def text_or_empty(name: str = "text"):
     return F.coalesce(F.col(name), F.lit(""))
 

@@ -20,7 +20,7 @@ U = np.uint64
 _BASE, _MASK = 0x9E3779B97F4A7C55, (1 << 64) - 1
 _INVERSE = pow(_BASE, -1, 1 << 64)
 #: Bytes hashed at a time; slices end at white space, so a longer word makes a longer slice.
-SLICE = 1 << 21
+SLICE = 1 << 19
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
