@@ -42,6 +42,15 @@ def small(df: DataFrame, rows: int) -> bool:
     return df.limit(rows + 1).count() <= rows
 
 
+#: Rows of a table that may be broadcast, at most; a row here is a few numbers.
+BROADCAST_ROWS = 1_000_000
+
+
+def matched(texts: DataFrame, ids: DataFrame, on: str, how: str = "inner") -> DataFrame:
+    """texts joined with a stored table of few columns, which is broadcast while it is small, so that texts need no shuffle."""
+    return texts.join(F.broadcast(ids) if small(ids, BROADCAST_ROWS) else ids, on, how)
+
+
 def lean_batches(spark: SparkSession, rows: int = 1000) -> None:
     """Whole texts cross to Python in batches of fewer rows than Spark's default, so that long ones fit in memory."""
     key = "spark.sql.execution.arrow.maxRecordsPerBatch"
