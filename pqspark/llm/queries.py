@@ -7,13 +7,26 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pqspark.llm import jaccard_join, line_dedup, media, packing, pfair, token_tables, toxicity
+from pqspark.llm import ann, html_extract, jaccard_join, line_dedup, lm_scoring, media, packing, pfair, token_tables, toxicity
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    good = _table(spark, sf_dir, "labels").filter("quality = 1 and toxic = 0").select("doc_id")
+    return lm_scoring.scored(_table(spark, sf_dir, "documents"), good)
+
+
+def op6_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.extracted(_table(spark, sf_dir, "pages"))
+
+
+def op10_cross_polytope(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.neighbours(_table(spark, sf_dir, "embeddings"), F.col("vec_id") % 50 == 0, k=5)
+
+
 def op2_token_tables(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_tables.encoded(_table(spark, sf_dir, "documents"))
 
@@ -45,6 +58,9 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_lm_scoring": op1_lm_scoring,
+        "op6_html_extraction": op6_html_extraction,
+        "op10_cross_polytope": op10_cross_polytope,
         "op2_token_tables": op2_token_tables,
         "op4_media_columns": op4_media_columns,
         "op3_toxicity": op3_toxicity,
