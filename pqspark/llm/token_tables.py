@@ -19,6 +19,7 @@ import bisect
 import struct
 import zlib
 from collections.abc import Iterable, Iterator
+from functools import lru_cache
 from uuid import uuid4
 
 import numpy as np
@@ -36,9 +37,11 @@ FOOTER = struct.Struct("<QQQQQQB7x8s")
 BLOCK_BYTES, RESTART = 1 << 16, 16
 BLOOM_BITS, BLOOM_HASHES = 10, 7
 
-#: Documents of a shard, at most about; tokens of the end mark and of the vocabulary file.
+#: Documents of a shard, at most about (fewer where the cluster has more partitions); tokens of the end mark and of the vocabulary file.
 SHARD_ROWS = 16_384
 END_ID = 2
+#: Distinct pre-tokens whose ids a worker remembers.
+WORDS_HELD = 500_000
 VOCABULARY = "byte_bpe_50k.json"
 
 
@@ -203,26 +206,34 @@ class TableReader:
         return None
 
 
+def _byte_letters() -> dict[int, int]:
+    """The letter that a byte-level vocabulary writes each byte as: printable ones themselves, the others from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = iter(range(256, 512))
+    return {b: b if b in plain else next(rest) for b in range(256)}
+
+
 class _Words(dict):
-    """Ids of a pre-token as bytes; each distinct one goes through the library once."""
+    """Ids of a pre-token as bytes; each distinct one goes through the library's merges once."""
 
     def __init__(self, tokenizer, kind: str):
         super().__init__()
-        self.tokenizer, self.kind = tokenizer, kind
+        self.tokenize, self.kind, self.letters = tokenizer.model.tokenize, kind, _byte_letters()
 
     def __missing__(self, word: str) -> bytes:
-        if len(self) > 400_000:
+        if len(self) > WORDS_HELD:
             self.clear()
-        out = self[word] = np.array(self.tokenizer.encode(word, add_special_tokens=False).ids, self.kind).tobytes()
+        out = self[word] = np.array([t.id for t in self.tokenize(word.encode().decode("latin-1").translate(self.letters))], self.kind).tobytes()
         return out
 
 
+@lru_cache(maxsize=2)
 def encoder(vocabulary: str = VOCABULARY, item: int = 2):
-    """A function from a text to its ids as bytes, equal to the library's ids of the whole text.
+    """A function from a text to its ids as bytes, equal to the library's ids of the whole text; kept for a worker's later tasks.
 
     The library cuts a text at its pattern before it merges, so ids of a text
     are those of its cuts in a row; cuts repeat, and each distinct one is
-    encoded once.  Texts that hold an added token are encoded whole.
+    merged once.  Texts that hold an added token are encoded in one piece.
     """
     import public_tokenizers
     import regex
@@ -299,7 +310,7 @@ def write_tables(docs: DataFrame, path: str, vocabulary: str = VOCABULARY, item:
     lean_batches(spark)
     light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     n = light.count()
-    shards = max(1, -(-n // shard_rows))
+    shards = max(1, -(-n // shard_rows), min(n // 256, partitions(spark)))
     bounds = []
     if shards > 1:
         got = light.agg(F.percentile_approx("doc_id", [k / shards for k in range(1, shards)], 100_000)).first()[0]
