@@ -29,6 +29,8 @@ FIT_ROWS = 24_000
 #: Terms of the lexicon, at most: those in most toxic documents.
 TERMS = 4_000
 WINDOW = 6
+#: Entries that a task counts, and words whose matches it remembers, before it starts anew.
+ENTRIES_HELD, WORDS_HELD = 60_000, 100_000
 WORD = re.compile(r"[\w*@$]+")
 QUOTES = frozenset("\"“”„«»‘`")
 # Words that report speech, and words that address someone, in the four languages of the tables.
@@ -44,12 +46,20 @@ def _features_of(word: str) -> list[str]:
 
 
 def _count_rows(batches):
-    """Per partition: entry, toxic and clean documents with it, and toxic words that begin with it."""
+    """Entry, toxic and clean documents with it, and toxic words that begin with it, as partial counts of bounded size."""
     toxic, clean, endings = Counter(), Counter(), defaultdict(set)
+
+    def flushed():
+        entries = list(toxic.keys() | clean.keys())
+        columns = [pa.array(entries, pa.string()), *(pa.array([c[e] for e in entries], pa.int64()) for c in (toxic, clean)), pa.array([len(endings.get(e, ())) for e in entries], pa.int64())]
+        for held in (toxic, clean, endings):
+            held.clear()
+        return pa.RecordBatch.from_arrays(columns, names=["entry", "toxic", "clean", "endings"])
+
     for batch in batches:
-        for text, label in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist(), strict=True):
+        for text, label in zip(batch.column("text"), batch.column("toxic").to_pylist(), strict=True):
             found = set()
-            for word in set(WORD.findall((text or "").lower())):
+            for word in set(WORD.findall((text.as_py() or "").lower())):
                 if 2 < len(word) < 40:
                     entries = _features_of(word)
                     found.update(entries)
@@ -58,13 +68,9 @@ def _count_rows(batches):
                             if len(endings[entry]) < 8:
                                 endings[entry].add(word)
             (toxic if label else clean).update(found)
-    entries = list(toxic.keys() | clean.keys())
-    for at in range(0, len(entries), 50_000):
-        some = entries[at : at + 50_000]
-        yield pa.RecordBatch.from_arrays(
-            [pa.array(some), pa.array([toxic[e] for e in some], pa.int64()), pa.array([clean[e] for e in some], pa.int64()), pa.array([len(endings.get(e, ())) for e in some], pa.int64())],
-            names=["entry", "toxic", "clean", "endings"],
-        )
+            if len(toxic) + len(clean) > ENTRIES_HELD:
+                yield flushed()
+    yield flushed()
 
 
 def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9, terms: int = TERMS) -> dict[str, float]:
@@ -234,7 +240,7 @@ class Scorer:
     def hits(self, text: str) -> list[tuple[int, int, tuple[str, int]]]:
         """(start, end, (entry, errors)) of each lexicon hit of the text in lower case."""
         memo, match = self.memo, self.automaton.match
-        if len(memo) > 400_000:
+        if len(memo) > WORDS_HELD:
             memo.clear()
         hot = set()
         for word in set(WORD.findall(text)):
