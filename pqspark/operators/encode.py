@@ -123,20 +123,24 @@ def _array(values) -> Column:
     return F.array(*(F.lit(float(v)) for v in values))
 
 
+def _ranking_of(sub: Column):
+    return lambda s: s.b - layout.dot(sub, s.c)
+
+
 def hof(df: DataFrame, model: PQModel, id_col: str = "vec_id", vector: str = "embedding", keep: tuple[str, ...] = ()) -> DataFrame:
     """Without Python or joins: higher-order functions over literal codebooks; for small k."""
     found = []
     for j, sub in enumerate(layout.pieces(model.config, vector)):
         book = F.array(*(F.struct(_array(c).alias("c"), F.lit(float(b)).alias("b")) for c, b in zip(model.books[j], model.bias[j], strict=True)))
-        value = F.transform(book, lambda s, sub=sub: s.b - layout.dot(sub, s.c))
+        value = F.transform(book, _ranking_of(sub))
         found.append((F.array_position(value, F.array_min(value)) - 1).cast("smallint"))
     return df.select(id_col, *keep, F.array(*found).alias("codes"))
 
 
 def flat(df: DataFrame, model: PQModel, id_col: str = "vec_id", vector: str = "embedding", keep: tuple[str, ...] = ()) -> DataFrame:
-    """One generated expression per chunk; refused beyond k * width = 512, where a method would outgrow the JVM's limit."""
-    if model.k * max(b.shape[1] for b in model.books) > 512:
-        raise ValueError("k * width must be 512 at most for flat expressions")
+    """One generated expression per chunk; refused beyond k * dimensions = 256, where a method would outgrow the JVM's limit."""
+    if model.k * model.config.dim > 256:
+        raise ValueError("k * dimensions must be 256 at most for flat expressions")
     v, found = layout.doubles(vector), []
     for j, book in enumerate(model.books):
         ranked = []

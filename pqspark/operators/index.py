@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from pqspark.model import PQConfig, PQModel
-from pqspark.operators import encode, layout, search, train
+from pqspark.operators import encode, search, train
 
 
 def knn_graph(df: DataFrame, k: int, dim: int = 64) -> DataFrame:
@@ -140,6 +140,3 @@ def build(df: DataFrame, config: PQConfig, strategy: str = "staged", graph: bool
 
 def with_width(config: PQConfig, width: int) -> PQConfig:
     return replace(config, width=width)
-
-
-joined = layout.joined

@@ -59,4 +59,4 @@ def choose(dim: int, k: int, width: int, python: bool = True) -> str:
     """A strategy from the shape alone: expressions for tiny models where Python is unwanted, else the staged kernel."""
     if python:
         return "staged"
-    return "flat_expr" if k * width <= 512 else "hof" if k * dim <= 16_384 else "relational"
+    return "flat_expr" if k * dim <= 256 else "hof" if k * dim <= 16_384 else "relational"
