@@ -152,13 +152,10 @@ class Parts:
     one part holds the same shingles in both; a set signs each part by the sum
     of its members.  Empty parts would be shared by everyone: a level has some
     spare parts, and only sets with more empty parts than that sign them.
-
-    scheme names one of many independent ways of cutting: a pair that is similar
-    enough shares a signature under each of them.
     """
 
-    def __init__(self, num: int, den: int, scheme: int = 0):
-        self.num, self.den, self.scheme = num, den, scheme
+    def __init__(self, num: int, den: int):
+        self.num, self.den = num, den
         self.floor = [1]  # smallest size of each level
         self.edges: dict[int, tuple[np.ndarray, int]] = {}
 
@@ -187,8 +184,6 @@ class Parts:
         if n == 0:
             return shingles
         own = self.level(n)
-        if self.scheme:
-            shingles = np.sort(mix(shingles + U(self.scheme)))
         running = np.zeros(n + 1, np.uint64)
         np.cumsum(mix(shingles), dtype=np.uint64, out=running[1:])
         out = []
