@@ -62,6 +62,21 @@ def text_or_empty(name: str = "text"):
     return F.coalesce(F.col(name), F.lit(""))
 
 
+def release_memory() -> None:
+    """Give freed memory back to the system; a worker that waits for its next task would keep it."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    try:
+        import pyarrow
+
+        pyarrow.default_memory_pool().release_unused()
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library: nothing to trim
+
+
 class Files:
     """Files under a URI, from any machine: local and mounted paths by the OS, other stores by pyarrow's connectors."""
 

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pqspark.llm.common import lean_batches, stored
+from pqspark.llm.common import lean_batches, release_memory, stored
 
 #: Labelled documents that the model is fitted on, at most (those with the smallest hash of their number).
 FIT_ROWS = 24_000
@@ -71,6 +71,7 @@ def _count_rows(batches):
             if len(toxic) + len(clean) > ENTRIES_HELD:
                 yield flushed()
     yield flushed()
+    release_memory()
 
 
 def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9, terms: int = TERMS) -> dict[str, float]:
@@ -415,5 +416,7 @@ def kept(docs: DataFrame, model: Model) -> DataFrame:
             at = batch.schema.get_field_index("text")
             keep = [scorer.score(t) < 0.5 for t in batch.column(at).to_pylist()]
             yield batch.filter(pa.array(keep, pa.bool_()))
+        del scorer
+        release_memory()
 
     return docs.mapInArrow(rows, docs.schema)
