@@ -6,6 +6,8 @@ unless a name says otherwise), so that SQL can state the codebook.
 
 from __future__ import annotations
 
+import tempfile
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -16,6 +18,7 @@ from pqspark import oracle, relops, workloads
 from pqspark.model import PQConfig, PQModel
 from pqspark.operators import encode, index, layout, search, train, vectors
 from pqspark.plans import cost
+from pqspark.streaming import streams
 
 Query = Callable[[SparkSession, str], DataFrame]
 _queries: dict[str, Query] = {}
@@ -325,6 +328,21 @@ def _(s, d):
     return vectors.customer_profile(s, d).withColumn("embedding", F.transform("embedding", lambda x: F.round(x, 6)))
 
 
+# ------------------------------------------------------------------ streams
+
+
+@register("stream_encode", f"WITH {oracle.base()} {oracle.CODES}")
+def _(s, d):
+    """embeddings read as a stream, encoded by the batch plan, into a table of its own."""
+    path = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="pqspark-")
+    path = f"{path.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    rows(s, d).select("vec_id", "embedding", "label").repartition(4).write.parquet(f"{path}/in")
+    made = streams.encoded(streams.read(s, f"{path}/in"), first_k(s, d))
+    query = made.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return shown(s.read.parquet(f"{path}/out"))
+
+
 # ------------------------------------------------------ the rest by their own
 
 
