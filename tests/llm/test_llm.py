@@ -66,6 +66,31 @@ def test_jaccard_edge_cases(spark, odd):
     assert jaccard_join.jaccard_components(odd.limit(0)).count() == 0
 
 
+def test_jaccard_cuts_large_blocks_by_size(spark):
+    """Texts of many sizes around one shared passage, with near copies across size levels and a doc_id of two texts."""
+    rng = np.random.default_rng(11)
+    shared = [f"s{k}" for k in range(60)]
+    texts = {}
+    for k in range(120):
+        own = [f"w{k}x{j}" for j in range(int(rng.integers(20, 400)))]
+        texts[2 * k] = [*own, *shared]
+        texts[2 * k + 1] = [*own, *shared, *(f"m{k}x{j}" for j in range(int(len(own) * rng.uniform(0, 0.4))))]
+    rows = [(k, " ".join(t)) for k, t in texts.items()] + [(0, " ".join(texts[101]))]
+    sets = _sets([t for _, t in rows], 5)
+    forest = jaccard_join.Forest()
+    for a in range(len(rows)):
+        for b in range(a):
+            both = len(sets[a] & sets[b])
+            if 5 * both >= 4 * (len(sets[a]) + len(sets[b]) - both):
+                forest.union(a, b)
+    groups = defaultdict(list)
+    for k in range(len(rows)):
+        groups[forest.find(k)].append(rows[k][0])
+    want = sorted((d, min(g)) for g in groups.values() for d in g)
+    got = jaccard_join.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string").repartition(3), block=400).collect()
+    assert sorted((r.doc_id, r.component_id) for r in got) == want
+
+
 def test_words_agree_over_slices(monkeypatch):
     texts = ["Aa b  Ñc\n" * 50, "", "word", " lead and trail "]
     whole = shingles.words(pa.array(texts))
