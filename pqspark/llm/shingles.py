@@ -150,8 +150,11 @@ class Parts:
     in the same or in adjacent levels.  At a level the hash range is cut into
     more parts than such a pair can have differing shingles, so that at least
     one part holds the same shingles in both; a set signs each part by the sum
-    of its members.  Empty parts would be shared by everyone: a level has some
-    spare parts, and only sets with more empty parts than that sign them.
+    of its members.  A set signs at its own level and at the next; the lowest
+    bit marks signatures at the own level (upper), and two sets that are similar
+    enough share one, but for that bit, that is upper in at least one of them.
+    Empty parts would be shared by everyone: a level has some spare parts, and
+    only sets with more empty parts than that sign them.
     """
 
     def __init__(self, num: int, den: int):
@@ -199,5 +202,6 @@ class Parts:
             part = np.arange(len(total), dtype=np.uint64)
             if len(full) - int(full.sum()) <= spare:
                 total, part = total[full], part[full]
-            out.append(mix(total + part * U(0xE7037ED1A0B428DB) + U((level + 1) * 0x8EBC6AF09C88C6E3 & _MASK)))
+            signs = mix(total + part * U(0xE7037ED1A0B428DB) + U((level + 1) * 0x8EBC6AF09C88C6E3 & _MASK))
+            out.append(signs | U(1) if level == own else signs & ~U(1))
         return np.concatenate(out) if out else shingles[:0]
