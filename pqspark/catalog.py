@@ -331,18 +331,94 @@ def _(s, d):
 # ------------------------------------------------------------------ streams
 
 
+def work_folder(s: SparkSession) -> str:
+    """A new folder in the shared one (a temporary one where none is named, as in tests)."""
+    shared = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="pqspark-")
+    return f"{shared.rstrip('/')}/stream-{uuid.uuid4().hex}"
+
+
+def vector_stream(s: SparkSession, d: str, path: str, files: int = 4) -> DataFrame:
+    rows(s, d).select("vec_id", "embedding", "label").repartition(files).write.parquet(f"{path}/in")
+    return streams.read(s, f"{path}/in")
+
+
+def event_stream(s: SparkSession, d: str, path: str) -> DataFrame:
+    """events in four batches, their time as a zoned timestamp."""
+    e = vectors.table(s, d, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), "value")
+    e.repartition(4).write.parquet(f"{path}/in")
+    return streams.read(s, f"{path}/in", e.schema.simpleString()[7:-1].replace(":", " "))
+
+
 @register("stream_encode", f"WITH {oracle.base()} {oracle.CODES}")
 def _(s, d):
     """embeddings read as a stream, encoded by the batch plan, into a table of its own."""
-    path = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="pqspark-")
-    path = f"{path.rstrip('/')}/stream-{uuid.uuid4().hex}"
-    rows(s, d).select("vec_id", "embedding", "label").repartition(4).write.parquet(f"{path}/in")
-    made = streams.encoded(streams.read(s, f"{path}/in"), first_k(s, d))
+    path = work_folder(s)
+    made = streams.encoded(vector_stream(s, d, path), first_k(s, d))
     query = made.writeStream.format("parquet").option("path", f"{path}/out").option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start()
     query.awaitTermination()
     return shown(s.read.parquet(f"{path}/out"))
 
 
+@register("stream_drift", f"WITH {oracle.base()}, g AS (SELECT vec_id, sum(list_sum(list_transform(list_zip(x, c), lambda z: (z[1] - z[2]) * (z[1] - z[2])))) AS sse FROM codes GROUP BY 1) SELECT (vec_id // 24) * 86400 AS start, count(*) AS n, round(avg(sse), 6) AS mean_sse FROM g GROUP BY 1")
+def _(s, d):
+    """Mean squared error of codes in daily windows; a row arrives each hour."""
+    path = work_folder(s)
+    timed = vector_stream(s, d, path).withColumn("ts", F.timestamp_seconds(F.col("vec_id") * 3600)).withColumn("embedding_copy", F.col("embedding"))
+    made = streams.drift(streams.errors(timed, first_k(s, d), keep=("ts",)), late="3650 days")
+    return streams.settled(made, path, ["start"]).select(F.unix_seconds("start").alias("start"), "n", r6("mean_sse").alias("mean_sse"))
+
+
+@register("stream_sessions", "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w <= INTERVAL 6 HOUR THEN 0 ELSE 1 END AS first FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), i AS (SELECT user_id, ts, sum(first) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM g) SELECT user_id, epoch_us(max(ts)) - epoch_us(min(ts)) AS lasted, count(*) AS n FROM i GROUP BY user_id, s")
+def _(s, d):
+    """Sessions of users' events with gaps of six hours: how long from first to last event, and events."""
+    path = work_folder(s)
+    made = streams.sessions(event_stream(s, d, path), gap="6 hours")
+    lasted = F.unix_micros("end") - F.unix_micros("start") - 6 * 3_600_000_000
+    return streams.settled(made, path, ["user_id", "start"], "complete").select("user_id", lasted.alias("lasted"), "n")
+
+
+@register("stream_dedupe", "SELECT vec_id, label FROM embeddings")
+def _(s, d):
+    """Every tenth id is sent twice, an hour apart; one of each is kept."""
+    path = work_folder(s)
+    at = rows(s, d).select("vec_id", "label", F.timestamp_seconds(F.col("vec_id")).alias("ts"))
+    sent = at.unionByName(at.filter("vec_id % 10 = 0").withColumn("ts", F.col("ts") + F.expr("INTERVAL 1 HOUR")))
+    sent.repartition(4).write.parquet(f"{path}/in")
+    kept = streams.dedupe(streams.read(s, f"{path}/in", "vec_id long, label int, ts timestamp"), horizon="3650 days")
+    return streams.settled(kept, path, [], "append").select("vec_id", "label")
+
+
+@register("stream_counts", f"WITH {oracle.base()} SELECT chunk, centroid AS code, count(*) AS n FROM codes GROUP BY 1, 2")
+def _(s, d):
+    """Uses of each code, counted on over batches."""
+    path = work_folder(s)
+    made = streams.running_counts(streams.encoded(vector_stream(s, d, path), first_k(s, d)))
+    return streams.settled(made, path, ["chunk", "code"])
+
+
+@register("stream_join", f"WITH {oracle.base()}, made AS ({oracle.CODES}) SELECT event_id, codes FROM events JOIN made ON user_id = vec_id")
+def _(s, d):
+    """Events as a stream with the code of the vector of their user's number."""
+    path = work_folder(s)
+    codes = shown(encode.encode(rows(s, d), first_k(s, d))).withColumnRenamed("vec_id", "user_id")
+    made = streams.with_static(event_stream(s, d, path), codes, "user_id").select("event_id", "codes")
+    return streams.settled(made, path, [], "append")
+
+
+@register("w11_insertion", f"WITH {oracle.base()}, made AS ({oracle.CODES}) SELECT vec_id, codes FROM made WHERE vec_id % 7 <> 0")
+def _(s, d):
+    """Vectors inserted in ten batches, every seventh deleted by an eleventh: the codes table equals a batch encoding of what is left."""
+    path = work_folder(s)
+    change = lambda df, op, ts: df.select("vec_id", "embedding", F.timestamp_seconds(F.lit(ts)).alias("ts"), F.lit(0).alias("seq"), F.lit(op).alias("op"))
+    change(rows(s, d), "upsert", 1).repartition(10).write.parquet(f"{path}/in")
+    change(rows(s, d).filter("vec_id % 7 = 0"), "delete", 2).coalesce(1).write.mode("append").parquet(f"{path}/in")
+    changes = streams.read(s, f"{path}/in", "vec_id long, embedding array<float>, ts timestamp, seq int, op string")
+    query = streams.upsert(changes, first_k(s, d), f"{path}/codes", f"{path}/log")
+    query.awaitTermination()
+    last = s.read.parquet(f"{path}/codes").agg(F.max("v")).first()[0]
+    return shown(s.read.parquet(f"{path}/codes/v={last}"))
+
+
 # ------------------------------------------------------ the rest by their own
 
 

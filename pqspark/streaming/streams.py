@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming import StreamingQuery
 
 from pqspark.model import PQModel
@@ -74,6 +75,30 @@ def upsert(stream: DataFrame, model: PQModel, path: str, checkpoint: str) -> Str
     return stream.writeStream.foreachBatch(apply).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def settled(results: DataFrame, path: str, keys: list[str], mode: str = "update") -> DataFrame:
+    """Run a stream to the end of its input; the last row written for each key.
+
+    Batch n writes its own folder, so a repeated batch writes the same. In complete mode the last batch is the whole result.
+    """
+
+    def store(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/out/v={epoch}")
+
+    results.writeStream.foreachBatch(store).outputMode(mode).option("checkpointLocation", f"{path}/log").trigger(availableNow=True).start().awaitTermination()
+    made = results.sparkSession.read.schema(T.StructType([*results.schema.fields, T.StructField("v", T.IntegerType())])).parquet(f"{path}/out")
+    if mode == "complete":
+        return made.filter(F.col("v") == made.agg(F.max("v")).first()[0]).drop("v")
+    if mode == "append":
+        return made.drop("v")
+    others = [c for c in made.columns if c not in (*keys, "v")]
+    return made.groupBy(*keys).agg(F.max_by(F.struct(*others), "v").alias("_last")).select(*keys, "_last.*")
+
+
+def with_static(stream: DataFrame, static: DataFrame, key: str) -> DataFrame:
+    """The stream's rows with the columns of a static table; no state is kept."""
+    return stream.join(static, key)
+
+
 def running_counts(codes: DataFrame) -> DataFrame:
     """(chunk, code, n) of a stream of codes, counted on in per-chunk state."""
 
