@@ -372,7 +372,7 @@ def _(s, d):
 def _(s, d):
     """Sessions of users' events with gaps of six hours: how long from first to last event, and events."""
     path = work_folder(s)
-    made = streams.sessions(event_stream(s, d, path), gap="6 hours")
+    made = streams.sessions(event_stream(s, d, path), gap="6 hours", late="3650 days")
     lasted = F.unix_micros("end") - F.unix_micros("start") - 6 * 3_600_000_000
     return streams.settled(made, path, ["user_id", "start"], "complete").select("user_id", lasted.alias("lasted"), "n")
 

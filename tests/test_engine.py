@@ -9,6 +9,7 @@ from pqspark.functions import kernels
 from pqspark.model import PQConfig, PQModel
 from pqspark.operators import encode, search, train
 from pqspark.plans import cost
+from pqspark.streaming import streams
 
 SF = "/root/testdata/sf0.001"
 MODEL = PQModel(PQConfig(dim=4, width=2, k=3), [np.array([[0.0, 0], [4, 0], [0, 4]]), np.array([[1.0, 1], [5, 5], [1, 1]])])
@@ -91,7 +92,7 @@ def test_counts_of_the_cost_model():
     assert c["arithmetic"] == 10 * 256 * 124 + 10 * 4 * 256 and c["score_cells"] == 0 and cost.working_set(16, 256) == 17_408
 
 
-@pytest.mark.parametrize("name", ["encode_staged", "encode_definition", "lloyd_3", "adc_topk", "recall_at_10", "agg_cube"])
+@pytest.mark.parametrize("name", ["encode_staged", "encode_definition", "lloyd_3", "adc_topk", "recall_at_10", "agg_cube", "stream_drift", "stream_counts", "stream_dedupe", "w11_insertion"])
 def test_oracles(spark, name):
     con = duckdb.connect()
     for t in ("embeddings", "documents"):
@@ -103,3 +104,14 @@ def test_oracles(spark, name):
     norm = lambda v: round(v, 6) if isinstance(v, float) else tuple(map(norm, v)) if isinstance(v, list) else v
     mine = sorted((tuple(norm(r[c]) for c in cols) for r in df.collect()), key=str)
     assert mine == sorted((tuple(norm(r[k]) for k in at) for r in rel.fetchall()), key=str)
+
+
+def test_rows_past_the_watermark_are_dropped(spark, tmp_path):
+    day = 86_400
+    for batch in ([(10 * day, 1.0), (10 * day + 60, 3.0)], [(11 * day, 2.0)], [(day, 9.0), (10 * day, 9.0), (11 * day, 4.0)]):
+        rows = spark.createDataFrame(batch, "s long, sse double").selectExpr("timestamp_seconds(s) AS ts", "sse")
+        rows.coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    read = streams.read(spark, f"{tmp_path}/in", "ts timestamp, sse double")
+    got = streams.settled(streams.drift(read), str(tmp_path), ["start"]).selectExpr("unix_seconds(start) AS s", "n", "mean_sse").collect()
+    # Spark drops by the watermark of the batch before the last: day 1 is late, day 10 (open until day 11 less an hour) is not
+    assert {r.s // day: (r.n, r.mean_sse) for r in got} == {10: (3, 13 / 3), 11: (2, 3.0)}
