@@ -5,202 +5,189 @@ share one vocabulary, one set of bigrams and one way of smoothing.  A document's
 score is the mean over its tokens of the target's loss less the background's:
 the lower, the more it reads like the target.
 
-Counts cover all documents.  Tasks add up what they read before anything is
-sent, and the model that goes to the tasks has a stated size.
+Counts cover all documents, all words, and all bigrams that come twice or more.
+No task holds the whole model: documents are dealt into blocks, a block asks for
+the counts of its distinct words and bigrams, which are added up bucket by bucket,
+and gets them back in the order in which it asked.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from dataclasses import dataclass
-
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pqspark.llm.common import lean_batches, matched, partitions, stored
-from pqspark.llm.shingles import U, words
+from pqspark.llm.common import BROADCAST_ROWS, Files, fresh_path, lean_batches, matched, partitions, small, stored
+from pqspark.llm.shingles import U, mix, words
 
-#: Words of the vocabulary and bigrams of the model, at most: the most frequent ones.
-VOCABULARY, BIGRAMS = 8192, 1_000_000
 #: Smoothing: pseudo-counts of a word, and weight of the unigram model in a context.
 ALPHA, MU = 0.5, 8.0
-#: Tokens that a task gathers before it adds them up.
-HELD = 2_000_000
+#: Times that a bigram must come to count.
+LEAST = 2
+#: Tokens of a block.
+BLOCK = 2_000_000
+#: Hash that stands for the begin of a text in bigrams.
+BEGIN = U(0x6265_6769_6E5F_5F5F)
+_ANSWERS = "block long, slot int, target binary, all binary, distinct long, sum_target long, sum_all long"
+
+
+def _shrunk(numbers: np.ndarray) -> bytes:
+    """Whole numbers of 8 bytes, compressed: all lowest bytes first, so that those of small numbers are runs of zeros."""
+    raw = np.ascontiguousarray(numbers.view(np.uint8).reshape(-1, 8).T).tobytes()
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
+
+
+def _grown(packed: bytes, kind: type = np.int64) -> np.ndarray:
+    raw = pa.decompress(packed[8:], int.from_bytes(packed[:8], "little"), codec="zstd", asbytes=True)
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view(kind).ravel()
+
 
+def _bucket(key: np.ndarray, buckets: int) -> np.ndarray:
+    """By the upper bits, so that sorted keys are sorted by bucket too and their steps are small."""
+    return ((key >> U(33)) * U(buckets) >> U(31)).astype(np.int64)
 
-def _spread(key: np.ndarray, target: np.ndarray, all_: np.ndarray, buckets: int) -> pa.RecordBatch:
-    """Packed rows (bucket, keys, target counts, counts)."""
-    at = (key * U(0x9E3779B97F4A7C15) >> U(33)).astype(np.int64) % buckets
-    order = np.argsort(at, kind="stable")
-    at, key, target, all_ = at[order], key[order], target[order], all_[order]
-    cut = np.flatnonzero(np.diff(at)) + 1
-    lo, hi = [0, *cut.tolist()], [*cut.tolist(), len(at)]
-    packed = [pa.array([c[a:b].tobytes() for a, b in zip(lo, hi, strict=True)], pa.binary()) for c in (key, target, all_)]
-    return pa.RecordBatch.from_arrays([pa.array(at[lo].astype(np.int32)), *packed], names=["bucket", "keys", "target", "all"])
 
+def _asked(block: int, slot: np.ndarray, key: np.ndarray, target: np.ndarray, all_: np.ndarray) -> list[tuple]:
+    """Rows (block, slot, steps of the sorted keys, target counts, counts), one for each slot."""
+    cut = (np.flatnonzero(np.diff(slot)) + 1).tolist()
+    return [(block, int(slot[a]), _shrunk(np.diff(key[a:b], prepend=U(0))), _shrunk(target[a:b]), _shrunk(all_[a:b])) for a, b in zip([0, *cut], [*cut, len(slot)], strict=True) if b > a]
 
-def _added(keys: list[np.ndarray], flags: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct keys with how often each came in target texts and in all."""
-    key, back = np.unique(np.concatenate(keys), return_inverse=True)
-    all_ = np.bincount(back, minlength=len(key)).astype(np.int64)
-    return key, np.bincount(back, weights=np.concatenate(flags), minlength=len(key)).astype(np.int64), all_
 
+def _block_rows(path: str, buckets: int, block_tokens: int):
+    """Writes each block's tokens, by number, to a file of its own, and asks for the counts of its words and bigrams."""
 
-def _count_rows(keys_of, buckets: int):
     def rows(batches):
-        keys, flags, held = [], [], 0
+        files, made, held, size = Files(path), 0, [], 0
+
+        def close():
+            nonlocal made, size
+            block = TaskContext.get().partitionId() << 24 | made
+            made, size = made + 1, 0
+            ids, flags, n = pa.concat_arrays([h[0] for h in held]), np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held])
+            hashes = np.concatenate([h[3] for h in held])
+            held.clear()
+            by_token = np.repeat(flags, n).astype(np.float64)
+            word, number = np.unique(mix(hashes), return_inverse=True)
+            counts = [np.bincount(number, weights=w, minlength=len(word)).astype(np.int64) for w in (by_token, None)]
+            out = [(block, -1, b"", _shrunk(np.array([(flags & (n > 0)).sum()])), _shrunk(np.array([(n > 0).sum()])))]
+            out += _asked(block, _bucket(word, buckets), word, *counts)
+            first = np.cumsum(n) - n
+            before = np.empty_like(number)
+            before[1:] = number[:-1]
+            before[first[n > 0]] = len(word)
+            code, token = np.unique(before * (len(word) + 1) + number, return_inverse=True)
+            before, number = code // (len(word) + 1), code % (len(word) + 1)
+            key = mix(np.append(word, BEGIN)[before] * U(0xD6E8FEB86659FD93) + word[number]) if len(code) else np.zeros(0, np.uint64)
+            order = np.argsort(key)
+            key, before, number = key[order], before[order], number[order]
+            place = np.empty_like(order)
+            place[order] = np.arange(len(order))
+            token = place[token]
+            counts = [np.bincount(token, weights=w, minlength=len(key)).astype(np.int64) for w in (by_token, None)]
+            out += _asked(block, _bucket(key, buckets) + buckets, key, *counts)
+            columns = [pa.ListArray.from_arrays(pa.array([0, len(ids)], pa.int32()), ids), *(pa.array([_shrunk(c.astype(np.int64))], pa.binary()) for c in (n, token, before, number))]
+            whole = pa.RecordBatch.from_arrays(columns, names=["doc_id", "n", "token", "before", "number"])
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, whole.schema) as writer:
+                writer.write_batch(whole)
+            files.write(str(block), [sink.getvalue().to_pybytes()])
+            kinds = (pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.binary())
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["block", "slot", "keys", "target", "all"])
+
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                key, first = keys_of(part.column(0))
-                if not len(key):
-                    continue
-                keys.append(key)
-                flags.append(np.repeat(part.column(1).to_numpy(zero_copy_only=False).astype(np.float64), np.diff(first)))
-                held += len(key)
-                if held > HELD:
-                    yield _spread(*_added(keys, flags), buckets)
-                    keys, flags, held = [], [], 0
-        if keys:
-            yield _spread(*_added(keys, flags), buckets)
+            for at in range(0, batch.num_rows, 100):
+                part = batch.slice(at, 100)
+                hashes, first = words(part.column(1))
+                held.append((part.column(0), part.column(2).to_numpy(zero_copy_only=False).astype(bool), np.diff(first), hashes))
+                size += len(hashes)
+                if size >= block_tokens:
+                    yield close()
+        if held:
+            yield close()
 
     return rows
 
 
-def _sum_rows(least: int):
-    """(key, target, all) of keys with least occurrences; rows come sorted by bucket."""
+def _sum_rows(buckets: int):
+    """Adds up each slot's keys over all blocks and answers each block in the order of its keys; rows come sorted by slot.
+
+    The slots of words also tell how many distinct ones they hold and how often
+    these come; bigrams that come less than LEAST times are answered with 0.
+    Slot -1 passes on which blocks there are and how many texts begin in them.
+    """
 
-    def total(held: list[list[bytes]]) -> pa.RecordBatch:
-        key, target, all_ = (np.frombuffer(b"".join(c), t) for c, t in zip(held, (np.uint64, np.int64, np.int64), strict=True))
-        order = np.argsort(key, kind="stable")
-        key = key[order]
-        head = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-        target, all_ = np.add.reduceat(target[order], head), np.add.reduceat(all_[order], head)
-        keep = all_ >= least
-        return pa.RecordBatch.from_arrays([pa.array(key[head][keep].view(np.int64)), pa.array(target[keep]), pa.array(all_[keep])], names=["key", "target", "all"])
+    def answered(slot: int, held: list[tuple]) -> pa.RecordBatch:
+        if slot < 0:
+            out = [(block, slot, None, None, 0, int(_grown(target)[0]), int(_grown(all_)[0])) for block, _, target, all_ in held]
+        else:
+            keys = [np.cumsum(_grown(h[1], np.uint64), dtype=np.uint64) for h in held]
+            distinct, back = np.unique(np.concatenate(keys), return_inverse=True)
+            target, all_ = (np.bincount(back, weights=np.concatenate([_grown(h[c]) for h in held]), minlength=len(distinct)).astype(np.int64) for c in (2, 3))
+            if slot >= buckets:
+                target, all_ = np.where(all_ >= LEAST, target, 0), np.where(all_ >= LEAST, all_, 0)
+            known = (len(distinct), int(target.sum()), int(all_.sum())) if slot < buckets else (0, 0, 0)
+            out, end = [], 0
+            for (block, *_), key in zip(held, keys, strict=True):
+                mine = back[end : (end := end + len(key))]
+                out.append((block, slot, _shrunk(target[mine]), _shrunk(all_[mine]), *known))
+                known = (0, 0, 0)
+        kinds = (pa.int64(), pa.int32(), pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64())
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["block", "slot", "target", "all", "distinct", "sum_target", "sum_all"])
 
     def rows(batches):
-        held: list[list[bytes]] = [[], [], []]
+        held: list[tuple] = []
         at = None
         for batch in batches:
-            for bucket, *packed in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
-                if bucket != at and held[0]:
-                    yield total(held)
-                    held = [[], [], []]
-                at = bucket
-                for column, value in zip(held, packed, strict=True):
-                    column.append(value)
-        if held[0]:
-            yield total(held)
+            for block, slot, *packed in zip(*(batch.column(c).to_pylist() for c in range(5)), strict=True):
+                if slot != at and held:
+                    yield answered(at, held)
+                    held = []
+                at = slot
+                held.append((block, *packed))
+        if held:
+            yield answered(at, held)
 
     return rows
 
 
-def _counted(flagged: DataFrame, keys_of, least: int, name: str) -> DataFrame:
-    n = partitions(flagged.sparkSession)
-    rows = flagged.mapInArrow(_count_rows(keys_of, 4 * n), "bucket int, keys binary, target binary, all binary")
-    summed = rows.repartition(n, "bucket").sortWithinPartitions("bucket").mapInArrow(_sum_rows(least), "key long, target long, all long")
-    return stored(summed, name)
-
-
-@dataclass
-class Model:
-    """Everything a task needs; a few MB whatever the corpus holds."""
-
-    words: np.ndarray  # sorted hashes of the vocabulary
-    unigrams: np.ndarray  # [2, words + 2]: target and all counts by word number, then unknown and begin
-    bigrams: np.ndarray  # sorted codes
-    pairs: np.ndarray  # [2, bigrams]: their counts
-
-    @property
-    def unknown(self) -> int:
-        return len(self.words)
-
-    @property
-    def base(self) -> int:
-        return len(self.words) + 2
-
-    def numbers(self, hashes: np.ndarray) -> np.ndarray:
-        if not len(self.words):
-            return np.zeros(len(hashes), np.int64)
-        at = np.minimum(np.searchsorted(self.words, hashes), len(self.words) - 1)
-        return np.where(self.words[at] == hashes, at, self.unknown)
-
-    def codes(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(bigram code of each token with the one before it, first token of each text)."""
-        hashes, first = words(column)
-        number = self.numbers(hashes)
-        before = np.empty_like(number)
-        before[1:] = number[:-1]
-        starts = first[:-1][np.diff(first) > 0]
-        before[starts] = self.unknown + 1
-        return (before * self.base + number).astype(np.uint64), first
-
-    def losses(self, code: np.ndarray) -> np.ndarray:
-        """[2, tokens]: the loss in nats of each token under the target and the background model."""
-        before, number = (code // U(self.base)).astype(np.int64), (code % U(self.base)).astype(np.int64)
-        at = np.minimum(np.searchsorted(self.bigrams, code), max(0, len(self.bigrams) - 1))
-        known = self.bigrams[at] == code if len(self.bigrams) else np.zeros(len(code), bool)
-        out = np.empty((2, len(code)))
-        for m in (0, 1):
-            counts = self.unigrams[m]
-            total = counts[:-1].sum()  # the begin mark is not predicted
-            single = (counts + ALPHA) / (total + ALPHA * (len(counts) - 1))
-            both = np.where(known, self.pairs[m][at], 0) if len(self.bigrams) else 0
-            out[m] = -np.log((both + MU * single[number]) / (counts[before] + MU))
-        return out
-
-
-def fit(flagged: DataFrame, vocabulary: int = VOCABULARY, bigrams: int = BIGRAMS) -> Model:
-    """Models of flagged(text, target): all rows are background, those with target true are target too."""
-    found = _counted(flagged, words, 1, "words")
-    top = found.orderBy(F.desc("all"), "key").limit(vocabulary).toArrow()
-    rest = found.agg(F.sum("target"), F.sum("all")).first()
-    hashes = top.column("key").to_numpy().view(np.uint64)
-    order = np.argsort(hashes)
-    model = Model(hashes[order], np.zeros((2, len(hashes) + 2), np.int64), np.zeros(0, np.uint64), np.zeros((2, 0), np.int64))
-    for m, name in enumerate(("target", "all")):
-        model.unigrams[m, : len(hashes)] = top.column(name).to_numpy()[order]
-        model.unigrams[m, len(hashes)] = (rest[m] or 0) - model.unigrams[m].sum()
-    n = flagged.agg(F.count_if(F.col("target") & F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]"))), F.count_if(F.regexp_like("text", F.lit(r"[^\x20\x09-\x0D]")))).first()
-    model.unigrams[:, -1] = n[0] or 0, n[1] or 0
-    pairs = _counted(flagged, model.codes, 2, "bigrams")
-    # the lowest count at which no more than the stated number of bigrams are left
-    sizes = sorted(((r["all"], r["count"]) for r in pairs.groupBy(F.least("all", F.lit(100_000)).alias("all")).count().collect()), reverse=True)
-    least, left = 100_000, bigrams
-    for count, size in sizes:
-        if size > left:
-            break
-        least, left = count, left - size
-    kept = pairs.filter(F.col("all") >= least).toArrow()
-    code = kept.column("key").to_numpy().view(np.uint64)
-    order = np.argsort(code)
-    model.bigrams = code[order]
-    model.pairs = np.stack([kept.column(c).to_numpy()[order] for c in ("target", "all")])
-    return model
-
-
-def _score_rows(sent) -> Iterator:
+def _score_rows(path: str, vocabulary: int, totals: tuple[int, int], begins: tuple[int, int]):
+    """Scores of each block's documents from its file and its answers; rows come sorted by block and slot."""
+
     def rows(batches):
-        model = sent.value
+        files = Files(path)
+
+        def scores(block: int, words_: list[tuple], pairs: list[tuple]) -> pa.RecordBatch:
+            with files.open(str(block)) as source:
+                whole = pa.ipc.open_stream(source.read()).read_next_batch()
+            ids, (n, token, before, number) = whole.column(0).flatten(), (_grown(whole.column(c)[0].as_py()) for c in range(1, 5))
+            full, mean = np.flatnonzero(n > 0), np.zeros((2, len(n)))
+            first = np.cumsum(n) - n
+            for m in (0, 1) if len(token) else ():
+                counts, both = (np.concatenate([_grown(p[m]) for p in packed]) for packed in (words_, pairs))
+                single = (counts + ALPHA) / (totals[m] + ALPHA * (vocabulary + 1))
+                loss = -np.log((both + MU * single[number]) / (np.append(counts, begins[m])[before] + MU))
+                mean[m, full] = np.add.reduceat(loss[token], first[full]) / n[full]
+            return pa.RecordBatch.from_arrays([ids, pa.array(n), pa.array(mean[0]), pa.array(mean[1]), pa.array(mean[0] - mean[1])], names=["doc_id", "n_tokens", "target_loss", "background_loss", "difference"])
+
+        held: tuple[list, list] = ([], [])
+        at = None
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                code, first = model.codes(part.column(1))
-                loss, n = model.losses(code), np.diff(first)
-                sums = np.zeros((2, len(n)))
-                if len(code):
-                    full = np.flatnonzero(n > 0)
-                    sums[:, full] = np.add.reduceat(loss, first[:-1][full], axis=1)
-                mean = np.divide(sums, n, out=np.zeros_like(sums), where=n > 0)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(n, pa.int64()), pa.array(mean[0]), pa.array(mean[1]), pa.array(mean[0] - mean[1])], names=["doc_id", "n_tokens", "target_loss", "background_loss", "difference"])
+            for block, is_pair, *packed in zip(*(batch.column(c).to_pylist() for c in range(4)), strict=True):
+                if block != at and at is not None:
+                    yield scores(at, *held)
+                    held = ([], [])
+                at = block
+                if packed[0] is not None:
+                    held[is_pair].append(packed)
+        if at is not None:
+            yield scores(at, *held)
 
     return rows
 
 
-def scored(docs: DataFrame, target_ids: DataFrame, vocabulary: int = VOCABULARY, bigrams: int = BIGRAMS) -> DataFrame:
+def scored(docs: DataFrame, target_ids: DataFrame, block_tokens: int = BLOCK) -> DataFrame:
     """(doc_id, n_tokens, target_loss, background_loss, difference) of every row of docs.
 
     target_ids(doc_id) names the target documents.  Tokens are runs of non-space
@@ -213,6 +200,15 @@ def scored(docs: DataFrame, target_ids: DataFrame, vocabulary: int = VOCABULARY,
     lean_batches(spark)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     ids = stored(target_ids.select(F.col("doc_id").cast("long").alias("doc_id")).filter("doc_id is not null").distinct().withColumn("target", F.lit(True)), "target")
-    flagged = matched(texts, ids, "doc_id", "left").select("text", F.coalesce("target", F.lit(False)).alias("target"))
-    sent = spark.sparkContext.broadcast(fit(flagged, vocabulary, bigrams))
-    return texts.mapInArrow(_score_rows(sent), "doc_id long, n_tokens long, target_loss double, background_loss double, difference double")
+    flagged = matched(texts, ids, "doc_id", "left").select("doc_id", "text", F.coalesce("target", F.lit(False)).alias("target"))
+    if not small(ids, BROADCAST_ROWS):
+        flagged = stored(flagged, "flagged")  # a block that is made again must hold the same rows
+    n = partitions(spark)
+    buckets, path = 4 * n, fresh_path(spark, "blocks")
+    asked = flagged.mapInArrow(_block_rows(path, buckets, block_tokens), "block long, slot int, keys binary, target binary, all binary")
+    answers = stored(asked.repartition(n, "slot").sortWithinPartitions("slot").mapInArrow(_sum_rows(buckets), _ANSWERS), "answers")
+    of = {r.known: r for r in answers.groupBy((F.col("slot") >= 0).alias("known")).agg(F.sum("distinct").alias("n"), F.sum("sum_target").alias("t"), F.sum("sum_all").alias("a")).collect()}
+    vocabulary, *totals = (of[True].n, of[True].t, of[True].a) if True in of else (0, 0, 0)
+    begins = (of[False].t, of[False].a) if False in of else (0, 0)
+    back = answers.repartition(n, "block").sortWithinPartitions("block", "slot").select("block", (F.col("slot") >= buckets).cast("int").alias("pair"), "target", "all")
+    return back.mapInArrow(_score_rows(path, vocabulary, tuple(totals), begins), "doc_id long, n_tokens long, target_loss double, background_loss double, difference double")

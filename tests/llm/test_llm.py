@@ -4,7 +4,7 @@ import hashlib
 import io
 import re
 import zlib
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import pyarrow as pa
@@ -274,6 +274,32 @@ def test_lm_scoring_counts(spark, odd):
     assert lm_scoring.scored(odd, odd.limit(0).select("doc_id")).count() == len(ODD) and lm_scoring.scored(odd.limit(0), odd.select("doc_id")).count() == 0
 
 
+def test_lm_scoring_keeps_all_words_and_bigrams(spark, docs):
+    """Losses by plain counting, on more words than any fixed vocabulary of 8192 holds; several blocks."""
+    rows = docs.select("doc_id", "text").collect()
+    tokens = {r.doc_id: re.findall("[^\x20\x09-\x0d]+", re.sub("[A-Z]", lambda m: m.group().lower(), r.text or "")) for r in rows}
+    tokens |= {1000 + k: [f"own{k}x{j}" for j in range(200)] * 2 for k in range(60)}
+    good = {d for d in tokens if d % 3 == 0}
+    single, pairs, begins = (Counter(), Counter()), (Counter(), Counter()), [0, 0]
+    for d, t in tokens.items():
+        for m in (0, 1) if d in good else (1,):
+            single[m].update(t)
+            pairs[m].update(zip([None, *t], t, strict=False))
+            begins[m] += bool(t)
+    assert len(single[1]) > 8192
+    every = spark.createDataFrame([(r.doc_id, r.text) for r in rows] + [(d, " ".join(t)) for d, t in tokens.items() if d >= 1000], "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r for r in lm_scoring.scored(every, spark.createDataFrame([(d,) for d in good], "doc_id long"), block_tokens=5000).collect()}
+    assert got.keys() == tokens.keys()
+    for d, t in tokens.items():
+        for m, loss in ((0, got[d].target_loss), (1, got[d].background_loss)):
+            total = sum(single[m].values()) + 0.5 * (len(single[1]) + 1)
+            want = 0.0
+            for a, b in zip([None, *t], t, strict=False):
+                both, before = pairs[m][a, b] if pairs[1][a, b] > 1 else 0, begins[m] if a is None else single[m][a]
+                want -= np.log((both + 8 * (single[m][b] + 0.5) / total) / (before + 8))
+            assert abs(loss - want / max(1, len(t))) < 1e-9 and got[d].n_tokens == len(t)
+
+
 def test_pipeline_stages(spark):
     pipeline = pytest.importorskip("corpus_pipeline")
     docs = spark.read.parquet(f"{SF}/documents.parquet")
