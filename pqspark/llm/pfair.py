@@ -5,7 +5,8 @@ weight w gets a window for each of its blocks: block k is released at
 floor(k / w) and due at ceil((k + 1) / w).  Taking the earliest due of the
 released blocks in every slot meets all dates when the weights add up to one, and
 every source is then less than one block from its share at any time.  Weights are
-whole parts of a period, so one period is scheduled and repeats.
+whole parts of a period, so one period is scheduled and repeats.  The period grows
+with the number of sources, so that each has its part.
 """
 
 from __future__ import annotations
@@ -16,21 +17,22 @@ from pyspark.sql.window import Window
 
 from pqspark.llm.common import matched, stored
 
-#: Slots of a period, and rows of a block.
-PERIOD, BLOCK_ROWS = 1000, 16
+#: Slots of a period, at least in all and at least for each source, and rows of a block.
+PERIOD, SOURCE_SLOTS, BLOCK_ROWS = 1000, 10, 16
 
 
 def tempered(docs: DataFrame, source: Column, period: int = PERIOD) -> DataFrame:
-    """(source, parts): whole parts of the period near to the square root of each source's rows, one at least.
+    """(source, parts): whole parts of the period (longer where sources are many) near to the square root of each source's rows, one at least.
 
     All in whole numbers: each source gets the floor of its share, and the parts
     left over go to the largest remainders (ties: by name).
     """
     sizes = docs.groupBy(source.alias("source")).agg(F.floor(F.sqrt(F.count("*").cast("double"))).cast("long").alias("root"))
     every = sizes.agg(F.sum("root").alias("roots"), F.count("*").alias("n"))
-    share = sizes.crossJoin(F.broadcast(every)).withColumn("spread", F.lit(period) - F.col("n"))  # one row: the totals
+    every = every.withColumn("period", F.greatest(F.lit(period), SOURCE_SLOTS * F.col("n")))
+    share = sizes.crossJoin(F.broadcast(every)).withColumn("spread", F.col("period") - F.col("n"))  # one row: the totals
     share = share.withColumn("whole", F.expr("1 + spread * root div roots")).withColumn("rest", F.expr("spread * root % roots"))
-    left = F.lit(period) - F.sum("whole").over(Window.partitionBy())
+    left = F.col("period") - F.sum("whole").over(Window.partitionBy())
     place = F.row_number().over(Window.orderBy(F.desc("rest"), "source"))
     return share.withColumn("left", left).withColumn("parts", F.col("whole") + (place <= F.col("left")).cast("long")).select("source", "parts")
 
@@ -39,29 +41,32 @@ def period_plan(weights: DataFrame) -> DataFrame:
     """(source, parts, period, slots): in which slots of a period each source's blocks are taken.
 
     weights(source, parts) holds one row per source with parts of 1 or more.
-    The fold below carries how many blocks each source has had; in a slot it
-    takes, of the sources whose next block is released, the one due first.
+    The fold below carries the released blocks that wait, each as a number that
+    sorts by due date and then by source; a slot adds those released in it and
+    takes the smallest.
     """
-    listed = weights.filter("parts > 0").agg(F.array_sort(F.collect_list(F.struct("source", "parts"))).alias("w"), F.sum("parts").alias("period"))
-    picked = listed.withColumn(
+    listed = weights.filter("parts > 0")
+    total = listed.agg(F.sum("parts").alias("period"), F.count("*").alias("n"))
+    numbered = listed.withColumn("i", F.row_number().over(Window.orderBy("source", "parts")) - 1).crossJoin(F.broadcast(total))  # one row: the totals
+    blocks = numbered.withColumn("k", F.explode(F.expr("sequence(0L, parts - 1L)")))
+    due = F.expr("(((k + 1) * period + parts - 1) div parts) * n + i")
+    released = blocks.groupBy(F.expr("(k * period) div parts").alias("t")).agg(F.collect_list(due).alias("blocks"))
+    slots = total.filter("period > 0").select(F.explode(F.expr("sequence(0L, period - 1L)")).alias("t")).join(released, "t", "left")
+    steps = slots.agg(F.array_sort(F.collect_list(F.struct("t", F.coalesce("blocks", F.expr("cast(array() as array<bigint>)")).alias("blocks")))).alias("steps"))
+    picked = steps.withColumn(
         "picks",
         F.expr("""
             aggregate(
-                sequence(0, cast(period as int) - 1),
-                named_struct('had', transform(w, x -> 0L), 'picks', cast(array() as array<int>)),
-                (s, t) -> transform(
-                    array(array_min(transform(sequence(0, size(w) - 1),
-                        i -> if(s.had[i] * period < (t + 1) * w[i].parts,
-                                named_struct('due', ((s.had[i] + 1) * period + w[i].parts - 1) div w[i].parts, 'i', i), null))).i),
-                    pick -> named_struct(
-                        'had', transform(s.had, (h, i) -> h + if(i = pick, 1L, 0L)),
-                        'picks', s.picks || array(pick)))[0],
+                steps,
+                named_struct('open', cast(array() as array<bigint>), 'picks', cast(array() as array<bigint>)),
+                (s, step) -> transform(
+                    array(s.open || step.blocks),
+                    open -> named_struct('open', array_remove(open, array_min(open)), 'picks', s.picks || array(array_min(open))))[0],
                 s -> s.picks)
         """),
     )
-    slots = "filter(transform(picks, (p, t) -> if(p = i, t, null)), t -> t is not null)"
-    each = picked.filter("size(w) > 0").select("w", "period", "picks", F.explode(F.expr("sequence(0, size(w) - 1)")).alias("i"))
-    return each.select(F.expr("w[i].source").alias("source"), F.expr("w[i].parts").alias("parts"), "period", F.expr(slots).alias("slots"))
+    taken = picked.select(F.posexplode("picks").alias("t", "block")).crossJoin(F.broadcast(total)).groupBy(F.expr("block % n").alias("i")).agg(F.array_sort(F.collect_list("t")).alias("slots"))
+    return numbered.join(taken, "i").select("source", "parts", "period", "slots")
 
 
 def mixed(docs: DataFrame, weights: DataFrame | None = None, source: str = "source", id_col: str = "doc_id", block_rows: int = BLOCK_ROWS) -> DataFrame:

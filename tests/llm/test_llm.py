@@ -219,6 +219,16 @@ def test_pfair_keeps_all_rows(odd):
     assert pfair.mixed(odd.limit(0)).count() == 0
 
 
+def test_pfair_gives_every_source_its_slots(spark):
+    """More sources than the shortest period has slots, one of them large."""
+    rows = spark.range(1200).selectExpr("id as doc_id", "cast(id as string) as source").unionByName(spark.range(40_000).selectExpr("id + 10000 as doc_id", "'hot' as source"))
+    got = pfair.mixed(rows).collect()
+    assert len(got) == 41_200 and all(r.slot is not None and r.release <= r.slot < r.due for r in got)
+    assert len({r.slot for r in got}) == len({(r.source, r.block) for r in got})
+    parts = {r.source: r.parts for r in pfair.tempered(rows, F.col("source")).collect()}
+    assert sum(parts.values()) == 12_010 and len(parts) == 1201 and parts["hot"] > 100 * max(v for k, v in parts.items() if k != "hot")
+
+
 def test_line_dedup_edges(spark, odd):
     got = line_dedup.without_boilerplate(odd).collect()
     assert len(got) == len(ODD) and {r.doc_id: (r.n_lines, r.text) for r in got}[1] == (0, None)
