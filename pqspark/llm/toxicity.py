@@ -82,7 +82,10 @@ def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9, terms: int
     them; a stem also needs several endings.  From these a cover is chosen:
     always the entry that explains most toxic documents no chosen entry has
     explained, by count times log-odds, and of equal ones the longest.  So a
-    harmless word that only came along with a toxic one is left out.
+    harmless word that came along with a toxic one a few times is left out.
+    An entry held often enough for its share of toxic documents to be purity or
+    more for certain (the lower Wilson bound) stays whatever it came along with,
+    unless its own stems or endings among the chosen explain it.
     """
     counts = labelled.mapInArrow(_count_rows, "entry string, toxic long, clean long, endings long")
     n, stem = F.col("toxic") + F.col("clean"), F.col("entry").endswith("*")
@@ -94,11 +97,13 @@ def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9, terms: int
         .limit(terms)
         .collect()
     )
+    strong = [r.entry for r in kept if wilson(r.toxic, r.toxic + r.clean) >= purity]
     odds = {r.entry: min(5.0, math.log((r.toxic + 0.5) / (r.clean + 0.5))) for r in kept}
     holding: dict[str, set[int]] = {e: set() for e in odds}
     for k, row in enumerate(labelled.filter("toxic > 0").mapInArrow(_held_rows(frozenset(odds)), "entries array<string>").toLocalIterator()):
         for entry in row.entries:
             holding[entry].add(k)
+    every = dict(holding)
     chosen: dict[str, float] = {}
     while holding:
         best = max(holding, key=lambda e: (len(holding[e]) * odds[e], len(e), e))
@@ -107,9 +112,23 @@ def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9, terms: int
             break
         chosen[best] = odds[best]
         holding = {e: left for e, held in holding.items() if len(left := held - docs) >= least}
+    for entry in sorted(strong, key=lambda e: (len(every[e]) * odds[e], len(e), e), reverse=True):
+        if entry not in chosen and len(every[entry].difference(*(every[c] for c in chosen if akin(entry, c)))) >= least:
+            chosen[entry] = odds[entry]
     return chosen
 
 
+def wilson(hits: int, n: int, z: float = 2.0) -> float:
+    """The lower bound of the share that hits of n stand for, by z standard errors."""
+    p = hits / n
+    return (p + z * z / (2 * n) - z * math.sqrt(p * (1 - p) / n + z * z / (4 * n * n))) / (1 + z * z / n)
+
+
+def akin(a: str, b: str) -> bool:
+    """Whether one entry is a stem of the other."""
+    return (a.endswith("*") and b.startswith(a.rstrip("*"))) or (b.endswith("*") and a.startswith(b.rstrip("*")))
+
+
 def _held_rows(entries: frozenset[str]):
     def rows(batches):
         for batch in batches:

@@ -157,6 +157,15 @@ def test_toxicity_learns_and_spares(spark):
     assert toxicity.fit(d, d.limit(0).selectExpr("doc_id", "1 AS toxic")).scorer().score(None) < 0.5
 
 
+def test_toxicity_keeps_terms_beside_others(spark):
+    """Two terms that always come together are both learned; a rare companion is not."""
+    rows = [(k, ("some trash and scum here" + " rarely" * (k < 12) if k % 3 == 0 else "some calm day and nice weather here") + f" w{k}") for k in range(600)]
+    d = spark.createDataFrame([*rows, (1000, "only scum this time"), (1001, "only trash this time"), (1002, "rarely seen this time")], "doc_id long, text string")
+    model = toxicity.fit(d, d.filter("doc_id < 600").selectExpr("doc_id", "cast(doc_id % 3 = 0 as int) AS toxic"))
+    got = {r.doc_id: r.predicted for r in toxicity.scored(d, model).collect()}
+    assert [got[k] for k in (1000, 1001, 1002)] == [1, 1, 0] and all(got[k] == (k % 3 == 0) for k in range(600))
+
+
 def test_automaton_equals_edit_distance():
     entries = {"idiot": 1.0, "worthless": 1.0, "bad": 1.0, "vequ*": 1.0}
     a = toxicity.Automaton(entries)
