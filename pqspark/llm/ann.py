@@ -18,6 +18,8 @@ from pqspark.llm.common import stored
 
 #: Tables, axes probed in each (of 2 * dimensions), and queries that go to the tasks at once.
 TABLES, PROBES, QUERIES = 16, 7, 16_384
+#: Rows below which all are candidates: too few for near ones to share an axis.
+FEW = 512
 
 
 class Rotations:
@@ -80,6 +82,8 @@ def _norms(x: np.ndarray) -> np.ndarray:
 
 def nearest(ids: np.ndarray, x: np.ndarray, q_ids: np.ndarray, q: np.ndarray, k: int, tables: int, probes: int) -> list[tuple[int, int, float]]:
     """(query, id, cosine) of the k best candidates of each query among the rows of x; ties go to smaller ids."""
+    if len(x) < FEW:
+        tables, probes = 1, 4 * x.shape[1]  # all axes: every row
     norm, q_norm = _norms(x), _norms(q)
     unit, q_unit = x / norm[:, None], q / q_norm[:, None]
     rotations = Rotations(x.shape[1], tables)
@@ -117,14 +121,28 @@ def neighbours(rows: DataFrame, is_query: Column, k: int = 5, id_col: str = "vec
 
     Every row is indexed, where it lies: each task hashes its own rows, takes the
     candidates of all queries from its tables, and passes on at most k for each.
-    Queries go out in blocks of bounded size.  Rows whose id is null, or whose
+    Queries go out in blocks of bounded size; those that get fewer than k rows go
+    out once more and are compared with every row.  Rows whose id is null, or whose
     vector is null, empty, zero, or holds null or non-finite components take no
     part; vectors of other lengths than a query's are not its candidates; copies
     of a row are candidates of each other unless they share its id.
     """
-    spark = rows.sparkSession
     light = rows.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector).cast("array<double>").alias("v"), is_query.alias("asks")).filter(F.col("vec_id").isNotNull() & usable("v"))
     queries = stored(light.filter("asks").select("vec_id", "v"), "queries")
+    near = stored(_best(light, queries, k, tables, probes, query_block), "near")
+    answered = near.filter(F.col("rank") == k).select(F.col("query_id").alias("vec_id"))
+    short = stored(queries.join(answered, "vec_id", "left_anti"), "short")
+    if short.isEmpty():
+        return near
+    # a table of all signed axes holds every row
+    axes = 4 * (short.agg(F.max(F.size("v"))).first()[0])
+    whole = _best(light, short, k, 1, axes, query_block)
+    return near.join(answered.withColumnRenamed("vec_id", "query_id"), "query_id", "left_semi").unionByName(whole)
+
+
+def _best(light: DataFrame, queries: DataFrame, k: int, tables: int, probes: int, query_block: int) -> DataFrame:
+    """(query_id, rank, vec_id, score) of at most k candidates of each query, among the rows of light(vec_id, v)."""
+    spark = light.sparkSession
     blocks = max(1, -(-queries.count() // query_block))
     parts = []
     for block in range(blocks):

@@ -263,6 +263,22 @@ def test_neighbours_recall_and_edges(spark):
     assert hits / 300 >= 0.9 and [v for v, _ in got[100]] == [101, 102, 103, 104, 105] and len(got) == 60
 
 
+@pytest.mark.parametrize("n,few", [(4, 512), (51, 512), (700, 512)])
+def test_neighbours_are_never_short(spark, n, few):
+    """Few rows, and many that lie far from each other, with few probes: as many answers as there are rows, five at most; exact where few."""
+    x = np.random.default_rng(n).normal(size=(n, 64))
+    d = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>").coalesce(1)
+    got = defaultdict(list)
+    for r in ann.neighbours(d, F.col("vec_id") % 3 == 0, tables=1, probes=1).orderBy("query_id", "rank").collect():
+        got[r.query_id].append(r.vec_id)
+    unit = x / np.sqrt((x * x).sum(1))[:, None]
+    for q in range(0, n, 3):
+        s = unit @ unit[q]
+        assert len(got[q]) == min(5, n - 1) and q not in got[q]
+        if n < few:
+            assert got[q] == [v for v in np.argsort(-s) if v != q][:5]
+
+
 def test_extraction_on_held_out_layouts():
     field, wrong, n = html_extract.standard_field(), 0, 0
     for page, labels in page_samples.labelled_pages(80, seed=77):
