@@ -30,19 +30,27 @@ def boilerplate(docs: DataFrame, host: Column, percent: int = 5, least: int = 5)
 def without_boilerplate(docs: DataFrame, host: Column | None = None, percent: int = 5, least: int = 5) -> DataFrame:
     """docs with their frequent lines dropped, and (n_lines, n_dropped).
 
-    host defaults to the source column; a null host counts as the empty one, and
-    its rows are its pages.  A null text stays null with no lines, an empty text
-    is one empty line.  Every row stays, also when all its lines go (the text is
-    then empty); repeated rows are pages of their own.
+    host defaults to the source column, which is the site of a document without
+    a URL; host_of(url) gives it for pages.  A null host counts as the empty one,
+    and its rows are its pages.  A null text stays null with no lines, an empty
+    text is one empty line.  Every row stays, also when all its lines go (the
+    text is then empty); repeated rows are pages of their own; an empty table
+    gives an empty one.  Columns named n_lines or n_dropped are replaced; all
+    others pass through, whatever they are called.
     """
-    host = F.coalesce(host if host is not None else F.col("source"), F.lit(""))
-    bad = stored(boilerplate(docs, host, percent, least).withColumnRenamed("host", "_host"), "boilerplate")
-    lines = F.split("text", "\n")
-    held = matched(docs.withColumn("_host", host), bad, "_host", "left")
-    left = F.when(F.col("bad").isNull(), lines).otherwise(F.filter(lines, lambda x: ~F.array_contains(F.col("bad"), F.xxhash64(x))))
-    held = held.withColumn("_left", left).withColumn("n_lines", F.coalesce(F.size(lines), F.lit(0)))
-    held = held.withColumn("n_dropped", F.when(F.col("text").isNull(), 0).otherwise(F.col("n_lines") - F.size("_left")))
-    return held.withColumn("n_lines", F.when(F.col("text").isNull(), 0).otherwise(F.col("n_lines"))).withColumn("text", F.array_join("_left", "\n")).select(*docs.columns, "n_lines", "n_dropped")
+    others = [c for c in docs.columns if c not in ("n_lines", "n_dropped")]
+    site = F.coalesce(host if host is not None else F.col("source"), F.lit(""))
+    bad = stored(boilerplate(docs, site, percent, least), "boilerplate")
+    held = matched(docs.select(F.struct(*others).alias("row"), site.alias("host"), F.split("text", "\n").alias("lines")), bad, "host", "left")
+    left = F.when(F.col("bad").isNull(), F.col("lines")).otherwise(F.filter("lines", lambda x: ~F.array_contains(F.col("bad"), F.xxhash64(x))))
+    held = held.withColumn("left", left)
+    text = F.array_join("left", "\n")
+    n = lambda c: F.when(F.col("lines").isNull(), 0).otherwise(F.size(c))
+    return held.select(
+        *((text if c == "text" else F.col("row").getField(c)).alias(c) for c in others),
+        n("lines").alias("n_lines"),
+        (n("lines") - n("left")).alias("n_dropped"),
+    )
 
 
 ORACLE = """

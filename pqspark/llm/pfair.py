@@ -19,6 +19,9 @@ from pqspark.llm.common import matched, stored
 
 #: Slots of a period, at least in all and at least for each source, and rows of a block.
 PERIOD, SOURCE_SLOTS, BLOCK_ROWS = 1000, 10, 16
+#: Digits of the hash by which a source's rows are cut into parts, and rows of one number that may share a part.
+PREFIX, REPEATS = 3, 10_000
+PLACES = ("block", "row_in_block", "slot", "release", "due")
 
 
 def tempered(docs: DataFrame, source: Column, period: int = PERIOD) -> DataFrame:
@@ -32,7 +35,7 @@ def tempered(docs: DataFrame, source: Column, period: int = PERIOD) -> DataFrame
     every = every.withColumn("period", F.greatest(F.lit(period), SOURCE_SLOTS * F.col("n")))
     share = sizes.crossJoin(F.broadcast(every)).withColumn("spread", F.col("period") - F.col("n"))  # one row: the totals
     share = share.withColumn("whole", F.expr("1 + spread * root div roots")).withColumn("rest", F.expr("spread * root % roots"))
-    left = F.col("period") - F.sum("whole").over(Window.partitionBy())
+    left = F.col("period") - F.sum("whole").over(Window.partitionBy())  # a row per source
     place = F.row_number().over(Window.orderBy(F.desc("rest"), "source"))
     return share.withColumn("left", left).withColumn("parts", F.col("whole") + (place <= F.col("left")).cast("long")).select("source", "parts")
 
@@ -40,12 +43,13 @@ def tempered(docs: DataFrame, source: Column, period: int = PERIOD) -> DataFrame
 def period_plan(weights: DataFrame) -> DataFrame:
     """(source, parts, period, slots): in which slots of a period each source's blocks are taken.
 
-    weights(source, parts) holds one row per source with parts of 1 or more.
+    weights(source, parts) holds one row per source; parts that are null or less
+    than 1 raise an error.
     The fold below carries the released blocks that wait, each as a number that
     sorts by due date and then by source; a slot adds those released in it and
     takes the smallest.
     """
-    listed = weights.filter("parts > 0")
+    listed = weights.select("source", F.when(F.col("parts") > 0, F.col("parts")).otherwise(F.raise_error(F.lit("parts must be 1 or more"))).cast("long").alias("parts"))
     total = listed.agg(F.sum("parts").alias("period"), F.count("*").alias("n"))
     numbered = listed.withColumn("i", F.row_number().over(Window.orderBy("source", "parts")) - 1).crossJoin(F.broadcast(total))  # one row: the totals
     blocks = numbered.withColumn("k", F.explode(F.expr("sequence(0L, parts - 1L)")))
@@ -76,56 +80,66 @@ def mixed(docs: DataFrame, weights: DataFrame | None = None, source: str = "sour
     then the row's hash), so blocks are shuffled alike on any cluster.  Sorting
     by (slot, row_in_block) gives the mix.  All rows are kept: once a source has
     no more blocks its slots stay empty and the others go on in proportion.  A
-    null source counts as the empty one.  A source without a weight is an error
-    of the caller and has null places.
+    null source counts as the empty one, empty and long texts are rows like any
+    other, and repeated rows have places of their own.  A number that comes more
+    than REPEATS times is dealt by chance to parts behind all others.  Columns of
+    docs that are named like a new one are replaced.  A source without a weight
+    is an error.  An empty table gives an empty result.
     """
-    src = F.coalesce(F.col(source), F.lit(""))
-    plan = stored(period_plan(weights if weights is not None else tempered(docs, src)).withColumnRenamed("source", "_source"), "plan")
-    key = F.md5(F.coalesce(F.col(id_col).cast("string"), F.lit("")))
-    keyed = docs.withColumn("_source", src).withColumn("_key", key).withColumn("_part", F.substring("_key", 1, 3))
-    # a source is ranked in 4096 parts, each counted first, so that no source is sorted in one task
-    counts = keyed.groupBy("_source", "_part").agg(F.count("*").alias("_n"))
-    before = counts.select("_source", "_part", (F.sum("_n").over(Window.partitionBy("_source").orderBy("_part")) - F.col("_n")).alias("_before"))
-    rank = F.row_number().over(Window.partitionBy("_source", "_part").orderBy("_key", id_col, F.xxhash64(*docs.columns)))
-    placed = keyed.withColumn("_rank", rank).join(before, ["_source", "_part"]).withColumn("_at", F.col("_before") + F.col("_rank") - 1)
-    placed = matched(placed, plan, "_source", "left")
-    placed = placed.withColumn("block", F.expr(f"_at div {block_rows}")).withColumn("row_in_block", (F.col("_at") % block_rows).cast("int"))
-    placed = placed.withColumn("_k", F.expr("block % parts")).withColumn("_start", F.expr("(block div parts) * period"))
+    others = [c for c in docs.columns if c not in PLACES]
+    src = F.coalesce(F.col(source).cast("string"), F.lit(""))
+    held = docs.select(F.struct(*others).alias("row"), src.alias("src"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("number"))
+    own = weights if weights is not None else tempered(docs, src)
+    plan = stored(period_plan(own).withColumnRenamed("source", "src"), "plan")
+    often = stored(held.groupBy("number").agg(F.count("*").alias("n")).filter(F.col("n") > REPEATS).select("number", F.lit(True).alias("often")), "often")
+    keyed = matched(held, often, "number", "left").withColumn("key", F.md5("number"))
+    # a source is ranked in parts, each counted first, so that neither a source nor a number is sorted in one task
+    salt = F.lpad(F.hex(F.pmod(F.monotonically_increasing_id(), F.lit(4096))), 3, "0")
+    keyed = keyed.withColumn("part", F.when(F.col("often"), F.concat(F.lit("~"), "key", salt)).otherwise(F.substring("key", 1, PREFIX))).drop("often")
+    keyed = stored(keyed, "keyed") if not often.isEmpty() else keyed  # chance must fall once
+    counts = keyed.groupBy("src", "part").agg(F.count("*").alias("n"))
+    before = counts.select("src", "part", (F.sum("n").over(Window.partitionBy("src").orderBy("part")) - F.col("n")).alias("before"))
+    rank = F.row_number().over(Window.partitionBy("src", "part").orderBy("key", "number", F.xxhash64("row")))
+    placed = keyed.withColumn("rank", rank).join(before, ["src", "part"]).withColumn("at", F.col("before") + F.col("rank") - 1)
+    placed = matched(placed, plan, "src", "left").withColumn("slots", F.coalesce("slots", F.raise_error(F.lit("a source has no weight"))))
+    placed = placed.withColumn("block", F.expr(f"at div {block_rows}")).withColumn("row_in_block", (F.col("at") % block_rows).cast("int"))
+    placed = placed.withColumn("k", F.expr("block % parts")).withColumn("start", F.expr("(block div parts) * period"))
     return placed.select(
-        *docs.columns,
+        *(F.col("row").getField(c).alias(c) for c in others),
         "block",
         "row_in_block",
-        F.expr("_start + slots[cast(_k as int)]").alias("slot"),
-        F.expr("_start + (_k * period) div parts").alias("release"),
-        F.expr("_start + ((_k + 1) * period + parts - 1) div parts").alias("due"),
+        F.expr("start + slots[cast(k as int)]").alias("slot"),
+        F.expr("start + (k * period) div parts").alias("release"),
+        F.expr("start + ((k + 1) * period + parts - 1) div parts").alias("due"),
     )
 
 
 def interleaved(docs: DataFrame, weights: DataFrame | None = None, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """docs in the order of the mix: files in sequence, and rows within them, follow (slot, row_in_block)."""
-    placed = mixed(docs, weights, block_rows=block_rows)
-    return placed.repartitionByRange("slot", "row_in_block").sortWithinPartitions("slot", "row_in_block").select(docs.columns)
+    """docs in the order of the mix, whatever their columns: files in sequence, and rows within them, follow (slot, row_in_block)."""
+    whole = docs.select(F.struct(*docs.columns).alias("whole"), F.col("doc_id"), F.col("source"))
+    placed = mixed(whole, weights, block_rows=block_rows)
+    return placed.repartitionByRange("slot", "row_in_block").sortWithinPartitions("slot", "row_in_block").select(*(F.col("whole").getField(c).alias(c) for c in docs.columns))
 
 
-ORACLE = """
+ORACLE = f"""
 WITH RECURSIVE d AS (SELECT doc_id, coalesce(source, '') AS source, md5(coalesce(doc_id::VARCHAR, '')) AS k FROM documents),
 z AS (SELECT source, floor(sqrt(count(*)::DOUBLE))::BIGINT AS root FROM d GROUP BY 1),
-e AS (SELECT sum(root)::BIGINT AS roots, count(*) AS n FROM z),
-h AS (SELECT source, 1 + ((1000 - n) * root) // roots AS whole, ((1000 - n) * root) % roots AS rest FROM z, e),
-w AS (SELECT source, whole + (row_number() OVER (ORDER BY rest DESC, source) <= 1000 - sum(whole) OVER ())::BIGINT AS parts FROM h),
-a AS (SELECT list(parts ORDER BY source) AS c, list(source ORDER BY source) AS names FROM w),
+e AS (SELECT sum(root)::BIGINT AS roots, count(*) AS n, greatest({PERIOD}, {SOURCE_SLOTS} * count(*)) AS period FROM z),
+h AS (SELECT source, period, 1 + ((period - n) * root) // roots AS whole, ((period - n) * root) % roots AS rest FROM z, e),
+w AS (SELECT source, whole + (row_number() OVER (ORDER BY rest DESC, source) <= period - sum(whole) OVER ())::BIGINT AS parts FROM h),
+a AS (SELECT list(parts ORDER BY source) AS c, list(source ORDER BY source) AS names, any_value(period) AS period FROM w, e),
 steps AS (
     SELECT -1 AS t, list_transform(c, lambda x: 0::BIGINT) AS had, NULL::BIGINT AS pick FROM a
     UNION ALL
     SELECT t, list_transform(had, lambda x, i: x + (i = pick)::BIGINT), pick FROM (
         SELECT t + 1 AS t, had, list_min(list_filter(list_transform(had, lambda x, i:
-            CASE WHEN x * 1000 < (t + 2) * c[i] THEN ((x + 1) * 1000 + c[i] - 1) // c[i] * 100000 + i END),
+            CASE WHEN x * period < (t + 2) * c[i] THEN ((x + 1) * period + c[i] - 1) // c[i] * 100000 + i END),
             lambda y: y IS NOT NULL)) % 100000 AS pick
-        FROM steps, a WHERE t < 999)
+        FROM steps, a WHERE t < period - 1)
 ),
 p AS (SELECT names[pick] AS source, t, row_number() OVER (PARTITION BY pick ORDER BY t) - 1 AS k FROM steps, a WHERE t >= 0),
 r AS (SELECT doc_id, source, row_number() OVER (PARTITION BY source ORDER BY k, doc_id) - 1 AS pos FROM d),
-b AS (SELECT doc_id, source, pos // 16 AS block, (pos % 16)::INT AS row_in_block, parts, (pos // 16) % parts AS k, ((pos // 16) // parts) * 1000 AS start FROM r JOIN w USING (source))
-SELECT doc_id, b.source, block, row_in_block, start + t AS slot, start + (b.k * 1000) // parts AS release, start + ((b.k + 1) * 1000 + parts - 1) // parts AS due
+b AS (SELECT doc_id, source, pos // {BLOCK_ROWS} AS block, (pos % {BLOCK_ROWS})::INT AS row_in_block, parts, period, (pos // {BLOCK_ROWS}) % parts AS k, ((pos // {BLOCK_ROWS}) // parts) * period AS start FROM r JOIN w USING (source), e)
+SELECT doc_id, b.source, block, row_in_block, start + t AS slot, start + (b.k * period) // parts AS release, start + ((b.k + 1) * period + parts - 1) // parts AS due
 FROM b JOIN p ON b.source = p.source AND b.k = p.k
 """
