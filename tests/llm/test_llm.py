@@ -167,7 +167,7 @@ def test_toxicity_keeps_terms_beside_others(spark):
 
 
 def test_automaton_equals_edit_distance():
-    entries = {"idiot": 1.0, "worthless": 1.0, "bad": 1.0, "vequ*": 1.0}
+    entries = {"idiot": 1.0, "worthless": 1.0, "bad": 1.0, "vequ~": 1.0}
     a = toxicity.Automaton(entries)
 
     def edits(x, y):
@@ -189,7 +189,7 @@ def test_automaton_equals_edit_distance():
         want = min((edits(w, e) for e in ("idiot", "worthless", "bad") if edits(w, e) <= toxicity.distance_for(len(e))), default=None)
         got = a.match(w)
         assert (got[1] if got else None) == want, w
-    assert a.match("vequxyz") == ("vequ*", 0)
+    assert a.match("vequxyz") == ("vequ~", 0)
 
 
 def test_packing_keeps_rules(spark, docs, odd):
