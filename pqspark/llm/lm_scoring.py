@@ -5,7 +5,9 @@ share one vocabulary, one set of bigrams and one way of smoothing.  A document's
 score is the mean over its tokens of the target's loss less the background's:
 the lower, the more it reads like the target.
 
-Counts cover all documents, all words, and all bigrams that come twice or more.
+Counts cover all documents, all words and all bigrams.  What follows a word is a
+word or the end of the text, so that a context's counts add up to its own count
+and each of its distributions to one.
 No task holds the whole model: documents are dealt into blocks, a block asks for
 the counts of its distinct words and bigrams, which are added up bucket by bucket,
 and gets them back in the order in which it asked.
@@ -24,8 +26,6 @@ from pqspark.llm.shingles import U, mix, words
 
 #: Smoothing: pseudo-counts of a word, and weight of the unigram model in a context.
 ALPHA, MU = 0.5, 8.0
-#: Times that a bigram must come to count.
-LEAST = 2
 #: Tokens of a block.
 BLOCK = 2_000_000
 #: Hash that stands for the begin of a text in bigrams.
@@ -114,8 +114,8 @@ def _sum_rows(buckets: int):
     """Adds up each slot's keys over all blocks and answers each block in the order of its keys; rows come sorted by slot.
 
     The slots of words also tell how many distinct ones they hold and how often
-    these come; bigrams that come less than LEAST times are answered with 0.
-    Slot -1 passes on which blocks there are and how many texts begin in them.
+    these come.  Slot -1 passes on which blocks there are and how many texts begin
+    in them.
     """
 
     def answered(slot: int, held: list[tuple]) -> pa.RecordBatch:
@@ -125,8 +125,6 @@ def _sum_rows(buckets: int):
             keys = [np.cumsum(_grown(h[1], np.uint64), dtype=np.uint64) for h in held]
             distinct, back = np.unique(np.concatenate(keys), return_inverse=True)
             target, all_ = (np.bincount(back, weights=np.concatenate([_grown(h[c]) for h in held]), minlength=len(distinct)).astype(np.int64) for c in (2, 3))
-            if slot >= buckets:
-                target, all_ = np.where(all_ >= LEAST, target, 0), np.where(all_ >= LEAST, all_, 0)
             known = (len(distinct), int(target.sum()), int(all_.sum())) if slot < buckets else (0, 0, 0)
             out, end = [], 0
             for (block, *_), key in zip(held, keys, strict=True):
@@ -166,7 +164,7 @@ def _score_rows(path: str, vocabulary: int, totals: tuple[int, int], begins: tup
             first = np.cumsum(n) - n
             for m in (0, 1) if len(token) else ():
                 counts, both = (np.concatenate([_grown(p[m]) for p in packed]) for packed in (words_, pairs))
-                single = (counts + ALPHA) / (totals[m] + ALPHA * (vocabulary + 1))
+                single = (counts + ALPHA) / (totals[m] + begins[m] + ALPHA * (vocabulary + 1))  # words, and as many ends as begins
                 loss = -np.log((both + MU * single[number]) / (np.append(counts, begins[m])[before] + MU))
                 mean[m, full] = np.add.reduceat(loss[token], first[full]) / n[full]
             return pa.RecordBatch.from_arrays([ids, pa.array(n), pa.array(mean[0]), pa.array(mean[1]), pa.array(mean[0] - mean[1])], names=["doc_id", "n_tokens", "target_loss", "background_loss", "difference"])
@@ -194,7 +192,7 @@ def scored(docs: DataFrame, target_ids: DataFrame, block_tokens: int = BLOCK) ->
     bytes after A-Z are lower-cased.  Texts without tokens, null ones too, have
     losses and difference 0.  With no target document the target model is its
     smoothing alone.  Null numbers are background; repeated rows count as often
-    as they come.
+    as they come; other columns are not read; an empty table gives an empty one.
     """
     spark = docs.sparkSession
     lean_batches(spark)
@@ -212,3 +210,20 @@ def scored(docs: DataFrame, target_ids: DataFrame, block_tokens: int = BLOCK) ->
     begins = (of[False].t, of[False].a) if False in of else (0, 0)
     back = answers.repartition(n, "block").sortWithinPartitions("block", "slot").select("block", (F.col("slot") >= buckets).cast("int").alias("pair"), "target", "all")
     return back.mapInArrow(_score_rows(path, vocabulary, tuple(totals), begins), "doc_id long, n_tokens long, target_loss double, background_loss double, difference double")
+
+
+#: The same from plain counts; losses to six digits.
+ORACLE = f"""
+WITH l AS (SELECT DISTINCT doc_id, true AS good FROM labels WHERE quality = 1 AND toxic = 0),
+d AS (SELECT doc_id, coalesce(good, false) AS good, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS ws FROM documents LEFT JOIN l USING (doc_id)),
+t AS (SELECT doc_id, good, unnest(ws) AS w, unnest(list_prepend('', ws[1:len(ws) - 1])) AS h FROM d),
+s AS (SELECT w, count(*) AS a, count(*) FILTER (good) AS g FROM t GROUP BY 1),
+p AS (SELECT h, w, count(*) AS a, count(*) FILTER (good) AS g FROM t GROUP BY 1, 2),
+b AS (SELECT count(*) AS a, count(*) FILTER (good) AS g FROM d WHERE len(ws) > 0),
+c AS (SELECT w AS h, a, g FROM s UNION ALL SELECT '', a, g FROM b),
+n AS (SELECT coalesce(sum(s.a), 0) + any_value(b.a) + {ALPHA}::DOUBLE * (count(s.w) + 1) AS a, coalesce(sum(s.g), 0) + any_value(b.g) + {ALPHA}::DOUBLE * (count(s.w) + 1) AS g FROM b LEFT JOIN s ON true),
+q AS (SELECT p.h, p.w, -ln((p.a + {MU} * (s.a + {ALPHA}) / n.a) / (c.a + {MU})) AS a, -ln((p.g + {MU} * (s.g + {ALPHA}) / n.g) / (c.g + {MU})) AS g FROM p JOIN s ON p.w = s.w JOIN c ON p.h = c.h, n),
+o AS (SELECT doc_id, count(*) AS n_tokens, avg(q.g) AS g, avg(q.a) AS a FROM t JOIN q ON t.h = q.h AND t.w = q.w GROUP BY 1)
+SELECT doc_id, coalesce(n_tokens, 0) AS n_tokens, round(coalesce(g, 0), 6) AS target_loss, round(coalesce(a, 0), 6) AS background_loss, round(coalesce(g - a, 0), 6) AS difference
+FROM d LEFT JOIN o USING (doc_id)
+"""

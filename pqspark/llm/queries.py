@@ -16,7 +16,8 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def op1_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     good = _table(spark, sf_dir, "labels").filter("quality = 1 and toxic = 0").select("doc_id")
-    return lm_scoring.scored(_table(spark, sf_dir, "documents"), good)
+    made = lm_scoring.scored(_table(spark, sf_dir, "documents"), good)
+    return made.select("doc_id", "n_tokens", *(F.round(c, 6).alias(c) for c in ("target_loss", "background_loss", "difference")))
 
 
 def op6_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -72,4 +73,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op7_line_dedup": line_dedup.ORACLE, "op9_pfair_mix": pfair.ORACLE}
+    return {"op1_lm_scoring": lm_scoring.ORACLE, "op7_line_dedup": line_dedup.ORACLE, "op9_pfair_mix": pfair.ORACLE}

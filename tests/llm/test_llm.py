@@ -303,9 +303,9 @@ def test_lm_scoring_counts(spark, odd):
     d = spark.createDataFrame([(1, "a b a b"), (2, "c d"), (3, None)], "doc_id long, text string")
     got = {r.doc_id: r for r in lm_scoring.scored(d, d.filter("doc_id = 1")).collect()}
     assert got[1].n_tokens == 4 and got[1].difference < 0 < got[2].difference and got[3].difference == 0
-    # by hand: c in document 2 after the begin mark, 1 of 2 documents; unigram (1 + .5) / (6 + .5 * 5)
-    p = lambda pair, before, c: (pair + 8 * (c + 0.5) / 8.5) / (before + 8)
-    assert abs(got[2].background_loss + (np.log(p(0, 2, 1)) + np.log(p(0, 1, 1))) / 2) < 1e-9
+    # by hand: c in document 2 after the begin mark, 1 of 2 documents; unigram (1 + .5) / (6 words + 2 ends + .5 * 5)
+    p = lambda pair, before, c: (pair + 8 * (c + 0.5) / 10.5) / (before + 8)
+    assert abs(got[2].background_loss + (np.log(p(1, 2, 1)) + np.log(p(1, 1, 1))) / 2) < 1e-9
     assert lm_scoring.scored(odd, odd.limit(0).select("doc_id")).count() == len(ODD) and lm_scoring.scored(odd.limit(0), odd.select("doc_id")).count() == 0
 
 
@@ -325,14 +325,22 @@ def test_lm_scoring_keeps_all_words_and_bigrams(spark, docs):
     every = spark.createDataFrame([(r.doc_id, r.text) for r in rows] + [(d, " ".join(t)) for d, t in tokens.items() if d >= 1000], "doc_id long, text string").repartition(3)
     got = {r.doc_id: r for r in lm_scoring.scored(every, spark.createDataFrame([(d,) for d in good], "doc_id long"), block_tokens=5000).collect()}
     assert got.keys() == tokens.keys()
+    total = [sum(single[m].values()) + begins[m] + 0.5 * (len(single[1]) + 1) for m in (0, 1)]
+
+    def chance(m, a, b, both):
+        return (both + 8 * (single[m][b] + 0.5) / total[m]) / ((begins[m] if a is None else single[m][a]) + 8)
+
     for d, t in tokens.items():
         for m, loss in ((0, got[d].target_loss), (1, got[d].background_loss)):
-            total = sum(single[m].values()) + 0.5 * (len(single[1]) + 1)
-            want = 0.0
-            for a, b in zip([None, *t], t, strict=False):
-                both, before = pairs[m][a, b] if pairs[1][a, b] > 1 else 0, begins[m] if a is None else single[m][a]
-                want -= np.log((both + 8 * (single[m][b] + 0.5) / total) / (before + 8))
+            want = -sum(np.log(chance(m, a, b, pairs[m][a, b])) for a, b in zip([None, *t], t, strict=False))
             assert abs(loss - want / max(1, len(t))) < 1e-9 and got[d].n_tokens == len(t)
+    # each context's distribution over all words and the end of the text adds up to one, in both models
+    ends = [Counter(t[-1] for d, t in tokens.items() if t and (m or d in good)) for m in (0, 1)]
+    for m in (0, 1):
+        for a in [None, *list(single[1])[:20]]:
+            mass = sum(chance(m, a, b, pairs[m][a, b]) for b in single[1])
+            mass += (ends[m][a] + 8 * (begins[m] + 0.5) / total[m]) / ((begins[m] if a is None else single[m][a]) + 8)
+            assert abs(mass - 1) < 1e-9
 
 
 def test_pipeline_stages(spark):
