@@ -34,8 +34,10 @@ HINTS = {
     "content": ("article", "content", "post", "entry", "story", "text", "main", "body", "prose"),
 }
 _HINT_OF = {h: name for name, hs in HINTS.items() for h in hs}
+_LONGEST_HINT = max(map(len, _HINT_OF))
 _NAME_PART = re.compile(r"[a-z]+")
 _NOTE = re.compile(r"©|\(c\)|copyright|all rights reserved|cookie|privacy|subscribe|newsletter|sign up|log ?in|advert|sponsored|reply|comment", re.I)
+_DIGIT = re.compile(r"\d+")
 _END = re.compile(r"[.!?…:;\"”»)]$")
 
 NAMES = (
@@ -50,25 +52,28 @@ PLACE = {name: k for k, name in enumerate(NAMES)}
 
 
 @lru_cache(maxsize=4096)
-def _path_features(path: tuple[tuple[str, str], ...]) -> tuple[int, ...]:
-    found = set()
-    for tag, names in path:
-        found.add(f"in:{tag}")
-        for part in _NAME_PART.findall(names):
-            for length in range(len(part), 1, -1):  # a hint may begin or be a part of a name: longest first
-                if part[:length] in _HINT_OF and (length > 3 or length == len(part)):
-                    found.add(f"hint:{_HINT_OF[part[:length]]}")
-                    break
-    if path:
-        found.add(f"own:{path[-1][0]}")
-    return tuple(sorted(PLACE[f] for f in found if f in PLACE))
+def _mark(tag: str, names: str) -> frozenset[int]:
+    """The features, by number, that an ancestor gives to all blocks in it."""
+    found = {f"in:{tag}"}
+    for part in _NAME_PART.findall(names):
+        for length in range(min(len(part), _LONGEST_HINT), 1, -1):  # a hint may begin or be a part of a name: longest first
+            if part[:length] in _HINT_OF and (length > 3 or length == len(part)):
+                found.add(f"hint:{_HINT_OF[part[:length]]}")
+                break
+    return frozenset(PLACE[f] for f in found if f in PLACE)
+
+
+def leaf_blocks(page: str | None) -> list[Block]:
+    return blocks(page, _mark)
 
 
 def features(page: list[Block]) -> list[list[int]]:
     """The active features of each block, by number."""
     out, n = [], len(page)
     for k, block in enumerate(page):
-        text, f = block.text, list(_path_features(block.path))
+        text, f = block.text, sorted(block.marks)
+        if f"own:{block.tag}" in PLACE:
+            f.append(PLACE[f"own:{block.tag}"])
         n_words = text.count(" ") + 1
         f.append(PLACE[f"words:{0 if n_words < 2 else 1 if n_words < 4 else 2 if n_words < 8 else 3 if n_words < 16 else 4 if n_words < 40 else 5}"])
         share = block.linked / len(text)
@@ -77,7 +82,7 @@ def features(page: list[Block]) -> list[list[int]]:
             f.append(PLACE["ends"])
         if n_words < 40 and _NOTE.search(text):
             f.append(PLACE["note"])
-        if 10 * sum(c.isdigit() for c in text[:200]) > len(text[:200]):
+        if 10 * (len(text) - len(_DIGIT.sub("", text))) > len(text):
             f.append(PLACE["digits"])
         if text[0].isupper():
             f.append(PLACE["capital"])
@@ -171,7 +176,7 @@ def standard_field(n_pages: int = 600, seed: int = 11) -> Field:
 
 
 def main_text(page: str | None, field: Field) -> str:
-    found = blocks(page)
+    found = leaf_blocks(page)
     return "\n\n".join(b.text for b, label in zip(found, field.decode(found), strict=True) if label)
 
 
@@ -180,7 +185,9 @@ def extracted(pages: DataFrame, field: Field | None = None) -> DataFrame:
 
     Blocks are joined in page order by a blank line.  A null or empty page, or
     one without main text, has the empty text.  Other columns are not read, null
-    numbers and URLs pass through, and repeated rows are treated alike.
+    numbers and URLs pass through, repeated rows are treated alike, and an empty
+    table gives an empty one.  Pages of any length and depth take time in
+    proportion to their length.
     """
     field = field or standard_field()
     lean_batches(pages.sparkSession)

@@ -8,7 +8,8 @@ from __future__ import annotations
 
 import random
 
-from pqspark.llm.html_blocks import Block, blocks
+from pqspark.llm.html_blocks import Block
+from pqspark.llm.html_extract import leaf_blocks
 
 SYLLABLES = "ba co di fu ge ho ji ka lo mu ne po qui ra si to u ve wo xa ye zo sch ción eau tre al en or is".split()
 
@@ -219,6 +220,6 @@ def labelled_pages(n: int, seed: int) -> list[tuple[list[Block], list[int]]]:
     rng, out = random.Random(seed), []
     for _ in range(n):
         html, main = page(rng)
-        found = blocks(html)
+        found = leaf_blocks(html)
         out.append((found, [int(b.text in main) for b in found]))
     return out
