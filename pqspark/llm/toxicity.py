@@ -89,9 +89,7 @@ def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9) -> dict[st
 
     Candidates are entries that at least least toxic documents of
     labelled(text, toxic) hold, toxic ones being purity or more of all that hold
-    them; a stem also needs several endings.  Of all entries that so many
-    documents hold, less than one may be expected to come that often with toxic
-    documents by chance.  From these a cover is chosen:
+    them; a stem also needs several endings.  From these a cover is chosen:
     always the entry that explains most toxic documents no chosen entry has
     explained, by count times log-odds, and of equal ones the longest.  So a
     harmless word that came along with a toxic one a few times is left out.
@@ -103,10 +101,7 @@ def lexicon(labelled: DataFrame, least: int = 3, purity: float = 0.9) -> dict[st
     counts = labelled.mapInArrow(_count_rows, "entry string, toxic long, clean long, endings long")
     n, stem = F.col("toxic") + F.col("clean"), F.col("entry").endswith(STEM)
     told = counts.groupBy("entry").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"), F.max("endings").alias("endings"))
-    told = stored(told.filter(n >= least), "entries")
-    pure = told.filter((F.col("toxic") >= least) & (F.col("toxic") >= purity * n) & (~stem | (F.col("endings") >= 2))).orderBy("entry").collect()
-    share, tried = (labelled.agg(F.avg((F.col("toxic") > 0).cast("double"))).first()[0] or 0.0), told.count()
-    kept = [r for r in pure if tried * chance(r.toxic, r.toxic + r.clean, share) < 1]
+    kept = told.filter((F.col("toxic") >= least) & (F.col("toxic") >= purity * n) & (~stem | (F.col("endings") >= 2))).orderBy("entry").collect()
     strong = [r.entry for r in kept if wilson(r.toxic, r.toxic + r.clean) >= purity]
     odds = {r.entry: min(5.0, math.log((r.toxic + 0.5) / (r.clean + 0.5))) for r in kept}
     holding: dict[str, set[int]] = {e: set() for e in odds}
@@ -157,11 +152,6 @@ def cover(holding: dict[str, set[int]], odds: dict[str, float], least: int) -> d
     return chosen
 
 
-def chance(hits: int, n: int, share: float) -> float:
-    """The probability of hits or more in n draws that hit with probability share."""
-    return sum(math.comb(n, k) * share**k * (1 - share) ** (n - k) for k in range(hits, n + 1)) if n < 400 else 0.0
-
-
 def wilson(hits: int, n: int, z: float = 2.0) -> float:
     """The lower bound of the share that hits of n stand for, by z standard errors."""
     p = hits / n
