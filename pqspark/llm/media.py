@@ -1,9 +1,9 @@
 """Media columns: a Spark data source over archives of media members.
 
 An archive is a ZIP file whose members are stored as they are; its directory
-gives the place of each.  A scan reads the directories when it is planned, cuts
-them into byte ranges of whole members, and each task then streams the payloads
-of its range as Arrow batches.  A member that fails to read or to pass its
+gives the place of each.  A scan is planned from the archives' names and sizes alone:
+each is cut into byte ranges, and a task reads the directory of its archive and
+streams the payloads of the members that begin in its range as Arrow batches.  A member that fails to read or to pass its
 checksum is tried again by its offset, alone.
 
 Members here are PNG images: 8-bit samples, 64 RGB pixels (192 bytes) to a row.
@@ -17,7 +17,7 @@ import struct
 import time
 import zipfile
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from uuid import uuid4
 
@@ -99,13 +99,14 @@ def feature(payload: bytes) -> str:
 
 @dataclass
 class Written(WriterCommitMessage):
-    archives: list[str]
+    archives: list[tuple[str, int]]  # name, bytes
 
 
 @dataclass
 class Range(InputPartition):
     archive: str
-    members: list[tuple[str, int, int, int]]  # name, offset of the header, bytes, checksum
+    first: int  # the members whose headers begin from here
+    end: int  # to before here
 
 
 class ArchiveSource(DataSource):
@@ -147,13 +148,12 @@ class ArchiveWriter(DataSourceArrowWriter):
                         yield sink.drain()
                 yield sink.drain()
 
-            files.write(name, chunks())
-            written.append(name)
+            written.append((name, files.write(name, chunks())))
         return Written(written)
 
     def commit(self, messages: list[Written | None]) -> None:
-        names = sorted(name for m in messages if m for name in m.archives)
-        Files(self.path).write(MANIFEST, [json.dumps(names).encode()])
+        listed = sorted(a for m in messages if m for a in m.archives)
+        Files(self.path).write(MANIFEST, [json.dumps(listed).encode()])
 
     def abort(self, messages: list[Written | None]) -> None:
         """Nothing to undo: no list was written."""
@@ -191,40 +191,41 @@ class ArchiveReader(DataSourceReader):
         self.attempts = int(options.get("attempts", ATTEMPTS))
 
     def partitions(self) -> list[Range]:
-        """Byte ranges of whole members, from the directories of the listed archives."""
-        files, out = Files(self.path), []
-        with files.open(MANIFEST) as f:
-            names = json.loads(f.read())
-        for name in names:
-            with files.open(name) as f, zipfile.ZipFile(f) as archive:
-                held, size = [], 0
-                for m in sorted(archive.infolist(), key=lambda m: m.header_offset):
-                    held.append((m.filename, m.header_offset, m.file_size, m.CRC))
-                    size += m.file_size
-                    if size >= self.range_bytes:
-                        out.append(Range(name, held))
-                        held, size = [], 0
-                if held:
-                    out.append(Range(name, held))
-        return out or [Range("", [])]
+        """Byte ranges of the listed archives; none is opened."""
+        with Files(self.path).open(MANIFEST) as f:
+            listed = json.loads(f.read())
+        return [Range(name, at, at + self.range_bytes) for name, size in listed for at in range(0, size, self.range_bytes)] or [Range("", 0, 0)]
+
+    @staticmethod
+    def members(file, first: int, end: int) -> list[tuple[str, int, int, int]]:
+        """(name, offset of the header, bytes, checksum) of the members that begin in a range, from the archive's directory."""
+        with zipfile.ZipFile(file) as archive:
+            return sorted(((m.filename, m.header_offset, m.file_size, m.CRC) for m in archive.infolist() if first <= m.header_offset < end), key=lambda m: m[1])
 
     def read(self, partition: Range) -> Iterator[pa.RecordBatch]:
+        if not partition.archive:
+            return
         files, file, held, size = Files(self.path), None, [], 0
+
+        def tried(read: Callable, *args):
+            """What read gives, on a new handle after each failure."""
+            nonlocal file
+            for attempt in range(1, self.attempts + 1):
+                try:
+                    file = file or files.open(partition.archive)
+                    return read(file, *args)
+                except (OSError, ValueError, zipfile.BadZipFile):
+                    if file is not None:
+                        file.close()
+                    file = None
+                    if attempt == self.attempts:
+                        raise
+                    time.sleep(0.05 * attempt)
+
         try:
-            for member in partition.members:
-                for attempt in range(1, self.attempts + 1):
-                    try:
-                        file = file or files.open(partition.archive)
-                        held.append((member[0], self.member(file, *member[1:]), partition.archive, member[1]))
-                        break
-                    except (OSError, ValueError):
-                        if file is not None:
-                            file.close()
-                        file = None  # a new handle; members read before stay read
-                        if attempt == self.attempts:
-                            raise
-                        time.sleep(0.05 * attempt)
-                size += member[2]
+            for name, *place in tried(self.members, partition.first, partition.end):
+                held.append((name, tried(self.member, *place), partition.archive, place[0]))
+                size += place[1]
                 if size >= 1 << 20 or len(held) >= 500:
                     yield self._batch(held)
                     held, size = [], 0
@@ -297,7 +298,8 @@ def digested(docs: DataFrame) -> DataFrame:
     """Store every text losslessly as image samples, read the stored bytes back, and describe them.
 
     A null text is an empty one (one row of spaces); a null doc_id stays null;
-    rows that repeat are stored and returned as often as they come.
+    rows that repeat are stored and returned as often as they come; other columns
+    are not read; an empty table gives an empty result.
     """
     path = fresh_path(docs.sparkSession, "media")
     write_archives(docs, path)
