@@ -12,11 +12,13 @@ from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; only where none is set (tests on one machine), one of our own."""
+    """The folder in spark.checkpoint.dir, or the one that the program has set; only in one local process, one of our own."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     if not spark.sparkContext.getCheckpointDir():
+        if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="pqspark-"))
     return spark.sparkContext.getCheckpointDir().rstrip("/")
 
@@ -26,13 +28,25 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """df written to the shared folder and read back: lineage ends here, and lost executors cost no rerun."""
-    path = fresh_path(df.sparkSession, name)
+def stored(df: DataFrame, name: str, path: str | None = None) -> DataFrame:
+    """df written to the shared folder (under a fresh path unless one is given) and read back: lineage ends here, and lost executors cost no rerun."""
+    path = path or fresh_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete what was stored under a path that no later read needs."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def often(df: DataFrame, key: str, most: int) -> DataFrame | None:
+    """(key, often) of keys that come more than most times, stored; None where there are none, as mostly.  At most rows / most keys."""
+    found = stored(df.groupBy(key).agg(F.count("*").alias("n")).filter(F.col("n") > most).select(key, F.lit(True).alias("often")), "often")
+    return None if found.isEmpty() else found
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from pqspark.llm.common import matched, often, stored
+
 #: Tokens of a bin, and documents that are packed together (a task never packs more at once).
 CAPACITY, SHARD_ROWS = 2048, 4096
 
@@ -126,12 +128,20 @@ def packed(docs: DataFrame, tokens: Column | None = None, cluster: Column | None
     texts).  Documents are dealt to shards by hash, so that bins of a shard are
     packed by one task from a bounded number of rows; each document, empty and
     null ones too (one end mark), is in the result once.  Null sources and empty
-    texts conflict with nothing.
+    texts conflict with nothing.  Rows that repeat a document are documents of
+    their own, which conflict by cluster; where one comes more often than a shard
+    has rows, its rows are dealt by chance.  Other columns are not read; an empty
+    table gives an empty result.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     tokens = tokens if tokens is not None else word_tokens()
     cluster = cluster if cluster is not None else F.when(text != "", F.xxhash64(text))
     light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", cluster.alias("cluster"), F.greatest(tokens, F.lit(1)).cast("long").alias("tokens"))
     shards = max(1, -(-docs.count() // shard_rows))
-    light = light.withColumn("shard", F.pmod(F.xxhash64("doc_id", "source", "cluster"), F.lit(shards)).cast("int"))
+    light = light.withColumn("key", F.xxhash64("doc_id", "source", "cluster"))
+    repeats = often(light, "key", shard_rows)
+    if repeats is not None:
+        light = matched(light, repeats, "key", "left").withColumn("key", F.when(F.col("often"), F.xxhash64("key", F.monotonically_increasing_id())).otherwise(F.col("key")))
+        light = stored(light.drop("often"), "dealt")  # chance must fall once
+    light = light.withColumn("shard", F.pmod("key", F.lit(shards)).cast("int")).drop("key")
     return light.groupBy("shard").applyInArrow(_shard_rows(capacity, 2 * shard_rows), SCHEMA)

@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from pqspark.llm.common import matched, stored
+from pqspark.llm.common import matched, often, stored
 
 #: Slots of a period, at least in all and at least for each source, and rows of a block.
 PERIOD, SOURCE_SLOTS, BLOCK_ROWS = 1000, 10, 16
@@ -91,12 +91,13 @@ def mixed(docs: DataFrame, weights: DataFrame | None = None, source: str = "sour
     held = docs.select(F.struct(*others).alias("row"), src.alias("src"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("number"))
     own = weights if weights is not None else tempered(docs, src)
     plan = stored(period_plan(own).withColumnRenamed("source", "src"), "plan")
-    often = stored(held.groupBy("number").agg(F.count("*").alias("n")).filter(F.col("n") > REPEATS).select("number", F.lit(True).alias("often")), "often")
-    keyed = matched(held, often, "number", "left").withColumn("key", F.md5("number"))
+    keyed = held.withColumn("key", F.md5("number")).withColumn("part", F.substring("key", 1, PREFIX))
     # a source is ranked in parts, each counted first, so that neither a source nor a number is sorted in one task
-    salt = F.lpad(F.hex(F.pmod(F.monotonically_increasing_id(), F.lit(4096))), 3, "0")
-    keyed = keyed.withColumn("part", F.when(F.col("often"), F.concat(F.lit("~"), "key", salt)).otherwise(F.substring("key", 1, PREFIX))).drop("often")
-    keyed = stored(keyed, "keyed") if not often.isEmpty() else keyed  # chance must fall once
+    repeats = often(held, "number", REPEATS)
+    if repeats is not None:
+        salt = F.lpad(F.hex(F.pmod(F.monotonically_increasing_id(), F.lit(4096))), 3, "0")
+        keyed = matched(keyed, repeats, "number", "left").withColumn("part", F.when(F.col("often"), F.concat(F.lit("~"), "key", salt)).otherwise(F.col("part")))
+        keyed = stored(keyed.drop("often"), "keyed")  # chance must fall once
     counts = keyed.groupBy("src", "part").agg(F.count("*").alias("n"))
     before = counts.select("src", "part", (F.sum("n").over(Window.partitionBy("src").orderBy("part")) - F.col("n")).alias("before"))
     rank = F.row_number().over(Window.partitionBy("src", "part").orderBy("key", "number", F.xxhash64("row")))
