@@ -7,6 +7,8 @@ keep: the staged form keeps the running minimum of a tile and nothing else.
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 
 from pqspark.model import PQModel
@@ -15,6 +17,8 @@ SCORES = ("full", "expanded", "ranking", "ranking2")
 ORDERS = ("block_chunk", "row_major", "subspace_major")
 #: Rows that the row-major order takes through all chunks at a time.
 ROW_RUN = 16
+#: 32-bit scores that a tile holds at a time (half a megabyte, within a core's cache).
+TILE_SCORES = 1 << 17
 
 
 def piece(x: np.ndarray, model: PQModel, j: int) -> np.ndarray:
@@ -31,9 +35,11 @@ def scores(p: np.ndarray, lanes: np.ndarray, bias: np.ndarray, score: str, accum
         out = np.empty((len(p), lanes.shape[1]), p.dtype)
     if score == "full":
         out.fill(0)
+        gap = np.empty_like(out)
         for d in range(lanes.shape[0]):
-            gap = p[:, d, None] - lanes[d]
-            out += gap * gap
+            np.subtract(p[:, d, None], lanes[d], out=gap)
+            np.multiply(gap, gap, out=gap)
+            out += gap
         return out
     if accumulate == "gemm":
         np.matmul(p, lanes, out=out)
@@ -73,15 +79,77 @@ def tiled(p: np.ndarray, lanes: np.ndarray, bias: np.ndarray, tile: int, score:
 
 
 def _prepared(model: PQModel, dtype, center: bool) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """(lanes, bias, mean) by chunk; centring moves rows and centroids by the chunk's mean, which leaves the winner."""
-    out = []
-    for lanes, bias, book in zip(model.lanes, model.bias, model.books, strict=True):
-        mean = book.mean(axis=0) if center else np.zeros(book.shape[1])
-        if center:
+    """(lanes, bias, mean) by chunk; centring moves rows and centroids by the chunk's mean, which leaves the winner.  Kept with the model."""
+    key = (np.dtype(dtype).str, center)
+    if key not in model.tables:
+        out = []
+        for lanes, bias, book in zip(model.lanes, model.bias, model.books, strict=True):
+            mean = book.mean(axis=0) if center else np.zeros(book.shape[1])
+            if center:
+                moved = book - mean
+                lanes, bias = np.ascontiguousarray(moved.T), 0.5 * (moved * moved).sum(axis=1)
+            out.append((lanes.astype(dtype), bias.astype(dtype), mean))
+        model.tables[key] = out
+    return model.tables[key]
+
+
+@dataclass
+class Ranked:
+    """A chunk's codebook for ranking by one product of 32-bit floats: rows with a one behind them times the negated lanes over the biases."""
+
+    mean: np.ndarray
+    factors: np.ndarray  # [width + 1, k]
+    book: np.ndarray
+    bias: np.ndarray
+    reach: float  # the longest centroid from the mean
+    least: float  # the greatest bias that ranks
+
+
+def _ranked(model: PQModel) -> list[Ranked]:
+    if "ranked" not in model.tables:
+        out = []
+        for book in model.books:
+            mean = book.mean(axis=0)
             moved = book - mean
-            lanes, bias = np.ascontiguousarray(moved.T), 0.5 * (moved * moved).sum(axis=1)
-        out.append((lanes.astype(dtype), bias.astype(dtype), mean))
-    return out
+            bias = 0.5 * (moved * moved).sum(axis=1)
+            _, first = np.unique(book, axis=0, return_index=True)
+            again = np.ones(len(book), bool)
+            again[first] = False  # a centroid that is there already never wins, since ties go to the smaller number
+            factors = np.concatenate([-moved.T, np.where(again, np.inf, bias)[None]]).astype(np.float32)
+            factors[:, again] = np.r_[np.zeros(book.shape[1]), np.inf][:, None]
+            out.append(Ranked(mean, np.ascontiguousarray(factors), book, np.where(again, np.inf, 0.5 * (book * book).sum(axis=1)), float(np.sqrt(2 * bias.max())), float(bias.max())))
+        model.tables["ranked"] = out
+    return model.tables["ranked"]
+
+
+#: Unit of rounding of 32-bit floats.
+ROUNDING = 2.0**-24
+
+
+def ranked(p: np.ndarray, table: Ranked, work: dict) -> np.ndarray:
+    """The winners of a tile by 32-bit scores; rows whose two best scores lie within the rounding error are ranked again in 64 bits.
+
+    The error of a score is below (width + 4) roundings of |row| * |centroid| and
+    the bias, both taken from the centroids' mean; two scores err twice.
+    """
+    n, width = p.shape
+    k = table.factors.shape[1]
+    if work.get("shape") != (n, width, k):
+        work |= {"shape": (n, width, k), "rows": np.ones((n, width + 1), np.float32), "scores": np.empty((n, k), np.float32), "at": np.arange(n)}
+    rows, scores_, at = work["rows"], work["scores"], work["at"]
+    np.subtract(p, table.mean, out=rows[:, :width], casting="unsafe")
+    np.matmul(rows, table.factors, out=scores_)
+    won = scores_.argmin(axis=1)
+    if k == 1:
+        return won
+    low = scores_[at, won]
+    scores_[at, won] = np.inf
+    gap = scores_.min(axis=1) - low
+    length = np.sqrt(np.einsum("rd,rd->r", rows[:, :width], rows[:, :width]).astype(np.float64))
+    close = np.flatnonzero(~(gap > 2 * (width + 4) * ROUNDING * (length * table.reach + table.least)))
+    if len(close):
+        won[close] = (table.bias - p[close] @ table.book.T).argmin(axis=1)
+    return won
 
 
 def encode(
@@ -93,14 +161,30 @@ def encode(
     block_rows: int = 2048,
     tile: int | None = None,
     accumulate: str = "gemm",
-    precision: str = "f64",
+    precision: str = "checked",
     center: str = "auto",
 ) -> np.ndarray:
-    """Codes [rows, chunks] of finite rows x."""
+    """Codes [rows, chunks] of finite rows x, as int16 where they fit and int32 beyond.
+
+    precision: checked ranks in 32-bit floats and settles near ties in 64 (staged
+    only; other strategies then take 64); f64; or f32, unchecked.
+    """
+    m = model.chunks
+    out = np.zeros((len(x), m), np.int16 if model.k <= 1 << 15 else np.int32)
+    if strategy == "staged" and precision == "checked" and score is None and tile is None and order in (None, "block_chunk") and accumulate == "gemm" and center == "auto" and 1e-18 < model.spread < 1e18:
+        step, work = max(64, min(block_rows, TILE_SCORES // model.k)), {}
+        chunks = _ranked(model)
+        for a in range(0, len(x), step):
+            block = x[a : a + step]
+            top = np.abs(block).max(initial=0.0)
+            if top < 1e18:
+                for j in range(m):
+                    out[a : a + step, j] = ranked(piece(block, model, j), chunks[j], work)
+            else:
+                out[a : a + step] = encode(block, model, "staged", precision="f64")
+        return out
     dtype = np.float32 if precision == "f32" else np.float64
     tables = _prepared(model, dtype, center == "on" or center == "auto" and precision == "f32")
-    m = model.chunks
-    out = np.zeros((len(x), m), np.int16)
 
     def cut(rows: np.ndarray, j: int) -> np.ndarray:
         p, mean = piece(rows, model, j), tables[j][2]
@@ -112,6 +196,13 @@ def encode(
                 gap = model.books[j] - piece(x[i : i + 1], model, j)
                 out[i, j] = (gap * gap).sum(axis=1).argmin()
         return out
+    if strategy == "lane_by_dimension":
+        # rows in turn through all chunks, differences to every centroid, sums over the few dimensions of a piece
+        for a in range(0, len(x), ROW_RUN):
+            for j in range(m):
+                gap = piece(x[a : a + ROW_RUN], model, j)[:, None, :] - model.books[j]
+                out[a : a + ROW_RUN, j] = (gap * gap).sum(axis=2).argmin(axis=1)
+        return out
     if strategy == "matrix":
         # whole tables of scores first, then one reduction over each
         kept = [scores(cut(x, j), tables[j][0], tables[j][1], score or "expanded", accumulate) for j in range(m)]
@@ -148,11 +239,11 @@ def encode(
 
 def pack(codes: np.ndarray, bits: int) -> list[bytes]:
     """Codes of each row as bytes, bits for each, the first in the highest bits."""
-    spread = (codes.astype(np.uint16)[:, :, None] >> np.arange(bits - 1, -1, -1)) & 1
+    spread = (codes.astype(np.uint32)[:, :, None] >> np.arange(bits - 1, -1, -1)) & 1
     return [r.tobytes() for r in np.packbits(spread.reshape(len(codes), -1).astype(np.uint8), axis=1)]
 
 
 def unpack(packed: list[bytes], chunks: int, bits: int) -> np.ndarray:
     raw = np.frombuffer(b"".join(packed), np.uint8).reshape(len(packed), -1)
     spread = np.unpackbits(raw, axis=1)[:, : chunks * bits].reshape(len(packed), chunks, bits).astype(np.int32)
-    return (spread << np.arange(bits - 1, -1, -1)).sum(axis=2).astype(np.int16)
+    return (spread << np.arange(bits - 1, -1, -1)).sum(axis=2).astype(np.int16 if bits < 16 else np.int32)

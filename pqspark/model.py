@@ -59,6 +59,11 @@ class PQModel:
         self.bias = [0.5 * (b * b).sum(axis=1) for b in self.books]
         self.lanes = [np.ascontiguousarray(b.T) for b in self.books]
         self.offsets = self.config.offsets()
+        self.tables: dict = {}  # forms of the codebooks that kernels make once
+        self.spread = max((float(np.abs(b).max(initial=0.0)) for b in self.books), default=0.0)
+
+    def __getstate__(self) -> dict:
+        return self.__dict__ | {"tables": {}}
 
     @property
     def k(self) -> int:
@@ -68,6 +73,10 @@ class PQModel:
     def chunks(self) -> int:
         return len(self.books)
 
+    @property
+    def code_type(self) -> str:
+        return "smallint" if self.k <= 1 << 15 else "int"
+
     def codebook(self, spark: SparkSession) -> DataFrame:
         """(chunk, centroid, coords, bias): m * k rows."""
         rows = [(j, c, b[c].tolist(), float(self.bias[j][c])) for j, b in enumerate(self.books) for c in range(len(b))]

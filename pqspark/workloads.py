@@ -15,8 +15,8 @@ from pqspark.plans import cost
 MEASURED = "workload string, variant string, metric string, value double, params map<string,string>"
 #: The cumulative steps of the ablation: strategy and its options.
 LADDER = {
-    "baseline": ("expanded", {}),
-    "+lanes": ("tiled", {"score": "full", "order": "row_major", "tile": 16, "accumulate": "fma"}),
+    "baseline": ("lane_by_dimension", {}),
+    "+lanes": ("tiled", {"score": "full", "order": "row_major"}),
     "+order": ("tiled", {"score": "expanded", "order": "block_chunk"}),
     "+score": ("staged", {}),
 }
