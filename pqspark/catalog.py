@@ -48,7 +48,7 @@ def first_k(spark: SparkSession, sf_dir: str, width: int = 16, k: int = 16) -> P
 
 
 def queries_of(df: DataFrame) -> DataFrame:
-    return df.filter("vec_id % 50 = 0")
+    return df.filter("vec_id % 20 = 0")
 
 
 def shown(codes: DataFrame, *keep: str) -> DataFrame:
@@ -141,11 +141,29 @@ def _(s, d):
     return workloads.agreement(encode.encode(rows(s, d), model), encode.encode(rows(s, d), model, "expanded"))
 
 
-@register("encode_residual")
+_RESIDUAL = f"""WITH {oracle.rows()}, {oracle.cut(64)}, {oracle.book(4)}, {oracle.scored()}, {oracle.WON},
+r AS (SELECT vec_id, centroid AS list, list_transform(list_zip(x, c), lambda z: z[1] - z[2]) AS v FROM codes),
+s2 AS (SELECT vec_id, list, j.range::INT AS chunk, v[j.range * 16 + 1 : j.range * 16 + 16] AS x FROM r, range(4) j),
+b2 AS (SELECT chunk, vec_id::INT AS centroid, x AS c, list_dot_product(x, x) / 2 AS bias FROM s2 WHERE vec_id < 16),
+w2 AS (SELECT s2.vec_id, list, s2.chunk, centroid FROM s2 JOIN b2 ON s2.chunk = b2.chunk QUALIFY row_number() OVER (PARTITION BY s2.vec_id, s2.chunk ORDER BY bias - list_dot_product(x, c), centroid) = 1)
+SELECT vec_id, list, string_agg(centroid::VARCHAR, ',' ORDER BY chunk) AS codes FROM w2 GROUP BY 1, 2"""
+
+
+@register("encode_residual", _RESIDUAL)
+def _(s, d):
+    """Lists by whole vectors, codes of what is left over by a codebook of residuals (first rows as seeds in both)."""
+    coarse = first_k(s, d, 64, 4)
+    fine = train.seeds(encode.residuals(rows(s, d), coarse), config(), vector="residual")
+    return encode.residual_encode(rows(s, d), coarse, fine).select("vec_id", "list", layout.joined().alias("codes"))
+
+
+@register("encode_residual_trained")
 def _(s, d):
-    lists, _ = index.coarse(rows(s, d), 4, init="first")
-    left = train.seeds(rows(s, d), config(k=16))
-    return encode.residual_encode(rows(s, d), lists, left).select("vec_id", "list", layout.joined().alias("codes"))
+    """Both stages trained; the fine one on residuals."""
+    coarse, _ = index.coarse(rows(s, d), 4, init="first")
+    left = encode.residuals(rows(s, d), coarse)
+    fine = train.lloyd(left, PQConfig(k=16, iterations=5), vector="residual")
+    return encode.residual_encode(rows(s, d), coarse, fine).select("vec_id", "list", layout.joined().alias("codes"))
 
 
 @register("encode_rotated")
@@ -181,7 +199,7 @@ register("train_grouped", _lloyd_sql(3))(lambda s, d: _book(s, train.lloyd_group
 register("train_sampled")(lambda s, d: _book(s, train.lloyd(rows(s, d), PQConfig(k=16, sample=256, iterations=5))))
 register("train_weighted_seeds")(lambda s, d: _book(s, train.lloyd(rows(s, d), PQConfig(k=16, init="weighted", iterations=5))))
 register("train_oversampled_seeds")(lambda s, d: _book(s, train.lloyd(rows(s, d), PQConfig(k=16, init="oversample", iterations=5))))
-register("train_refresh")(lambda s, d: _book(s, train.refresh(first_k(s, d), rows(s, d).filter("vec_id % 3 = 0"))))
+register("train_refresh", f"WITH {oracle.lloyd(1)} SELECT b.chunk, b.centroid, list_transform(list_zip(b.c, n.c), lambda z: round(0.5 * z[1] + 0.5 * z[2], 9)) AS coords FROM cb0 b JOIN cb1 n ON b.chunk = n.chunk AND b.centroid = n.centroid")(lambda s, d: _book(s, train.refresh(first_k(s, d), rows(s, d))))
 register("effective_k", f"WITH {oracle.rows()}, {oracle.cut(16)} SELECT chunk, count(DISTINCT x) AS \"distinct\", least(count(DISTINCT x), 16) AS k_effective FROM sub GROUP BY chunk")(lambda s, d: train.effective_k(rows(s, d), config()))
 
 # ------------------------------------------------------------------ search
@@ -197,27 +215,20 @@ def _(s, d):
 
 
 def found_by_codes(s: SparkSession, d: str, k: int, **options) -> tuple[DataFrame, DataFrame]:
-    """(candidates by asymmetric distance, all vectors), on rounded distances, so that ties are ties in SQL too."""
+    """(the k candidates of each query by asymmetric distance, all vectors); equal codes have equal sums, so ties are those of the SQL's rounded ones."""
     e, model = rows(s, d), first_k(s, d)
-    wide = search.adc(queries_of(e), encode.encode(e, model, keep=("label",)), model, 10**9, **options).withColumn("dist", F.round("dist", 9))
-    return search.top(wide.drop("rank"), k), e
+    return search.adc(queries_of(e), encode.encode(e, model, keep=("label",)), model, k, **options), e
 
 
 register("adc_topk", f"WITH {oracle.base()}, {oracle.ADC} SELECT query_id, rank, vec_id, round(dist, 6) AS dist FROM adc WHERE rank <= 10")(lambda s, d: _found(found_by_codes(s, d, 10)[0]))
 register("filtered_adc", f"WITH {oracle.base()}, {oracle.LUT}, far AS (SELECT query_id, c.vec_id, sum(d) AS dist FROM codes c JOIN lut ON c.chunk = lut.chunk AND c.centroid = lut.centroid WHERE query_id <> c.vec_id AND label < 3 GROUP BY 1, 2) SELECT query_id, vec_id, round(dist, 6) AS dist, row_number() OVER (PARTITION BY query_id ORDER BY round(dist, 9), vec_id)::INT AS rank FROM far QUALIFY rank <= 10")(
-    lambda s, d: _filtered(s, d)
+    lambda s, d: _found(found_by_codes(s, d, 10, where=F.col("label") < 3)[0])
 )
 
 
-def _filtered(s, d):
-    e, model = rows(s, d), first_k(s, d)
-    codes = encode.encode(e, model, keep=("label",)).filter("label < 3")
-    return _found(search.top(search.adc(queries_of(e), codes, model, 10**9).withColumn("dist", F.round("dist", 9)).drop("rank"), 10))
-
-
 @register(
     "sdc_topk",
-    f"WITH {oracle.base()}, p AS (SELECT q.vec_id AS query_id, b.vec_id, round(sum(list_sum(list_transform(list_zip(q.c, b.c), lambda z: (z[1] - z[2]) * (z[1] - z[2])))), 9) AS dist FROM codes q JOIN codes b ON q.chunk = b.chunk AND q.vec_id <> b.vec_id WHERE q.vec_id % 50 = 0 GROUP BY 1, 2) SELECT query_id, vec_id, round(dist, 6) AS dist, row_number() OVER (PARTITION BY query_id ORDER BY dist, vec_id)::INT AS rank FROM p QUALIFY rank <= 10",
+    f"WITH {oracle.base()}, p AS (SELECT q.vec_id AS query_id, b.vec_id, round(sum(list_sum(list_transform(list_zip(q.c, b.c), lambda z: (z[1] - z[2]) * (z[1] - z[2])))), 9) AS dist FROM codes q JOIN codes b ON q.chunk = b.chunk AND q.vec_id <> b.vec_id WHERE q.vec_id % 20 = 0 GROUP BY 1, 2) SELECT query_id, vec_id, round(dist, 6) AS dist, row_number() OVER (PARTITION BY query_id ORDER BY dist, vec_id)::INT AS rank FROM p QUALIFY rank <= 10",
 )
 def _(s, d):
     model = first_k(s, d)
@@ -239,8 +250,8 @@ register("recall_at_10", f"{_HITS} SELECT t.query_id, count(a.vec_id) / count(*)
 register("recall_curve", f"{_HITS}, h AS (SELECT a.rank AS l, count(*) AS n FROM adc a JOIN truth t ON a.query_id = t.query_id AND a.vec_id = t.vec_id WHERE a.rank <= 100 GROUP BY 1) SELECT l, round(sum(n) OVER (ORDER BY l) / (SELECT count(*) FROM truth), 9) AS recall FROM h")(
     lambda s, d: search.recall_curve(found_by_codes(s, d, 100)[0], _truth(s, d), 10).withColumn("recall", F.round("recall", 9))
 )
-register("tune_candidates", f"{_HITS}, h AS (SELECT a.rank AS l, count(*) AS n FROM adc a JOIN truth t ON a.query_id = t.query_id AND a.vec_id = t.vec_id GROUP BY 1), c AS (SELECT l, sum(n) OVER (ORDER BY l) / (SELECT count(*) FROM truth) AS recall FROM h) SELECT min(l) AS l FROM c WHERE recall >= 0.95")(
-    lambda s, d: search.tune(found_by_codes(s, d, 10**9)[0], _truth(s, d), 10, 0.95)
+register("tune_candidates", f"{_HITS}, h AS (SELECT a.rank AS l, count(*) AS n FROM adc a JOIN truth t ON a.query_id = t.query_id AND a.vec_id = t.vec_id GROUP BY 1), c AS (SELECT l, sum(n) OVER (ORDER BY l) / (SELECT count(*) FROM truth) AS recall FROM h) SELECT min(l)::INT AS l FROM c WHERE recall >= 0.95")(
+    lambda s, d: s.createDataFrame([(search.tune(lambda l: found_by_codes(s, d, l)[0], _truth(s, d), 10, 0.95),)], "l int")
 )
 register("false_positives", f"{_HITS} SELECT a.query_id, round(1 - count(t.vec_id) / count(*), 9) AS rate FROM adc a LEFT JOIN truth t ON a.query_id = t.query_id AND a.vec_id = t.vec_id WHERE a.rank <= 20 GROUP BY 1")(
     lambda s, d: search.false_positives(found_by_codes(s, d, 20)[0], _truth(s, d), 20).withColumn("rate", F.round("rate", 9))
@@ -256,7 +267,18 @@ register(
     "cost_model",
     "WITH n AS (SELECT count(*) AS n FROM embeddings) SELECT s AS strategy, k AS counter, v::BIGINT AS value FROM (SELECT unnest([{'s': 'expanded', 'k': 'arithmetic', 'v': n * 124 + 3 * n * 4 * 256 + n * 256 * 124}, {'s': 'staged', 'k': 'arithmetic', 'v': n * 256 * 124 + n * 4 * 256}, {'s': 'expanded', 'k': 'score_cells', 'v': n * 1024}, {'s': 'staged', 'k': 'score_cells', 'v': 0}, {'s': 'expanded', 'k': 'distances', 'v': n * 1024}, {'s': 'staged', 'k': 'distances', 'v': n * 1024}], recursive := true) FROM n)",
 )(lambda s, d: cost.model(s, _n(s, d), 64, 4, 256, ("expanded", "staged")).filter("counter IN ('arithmetic', 'score_cells', 'distances')"))
-register("cost_model_all")(lambda s, d: cost.model(s, _n(s, d), 64, 4, 256))
+_COST = """WITH p AS (SELECT count(*) AS n, 64 AS d, 4 AS m, 256 AS k FROM embeddings),
+s AS (SELECT unnest(['lane_by_dimension', 'matrix', 'expanded', 'tiled_full', 'staged']) AS s),
+v AS (SELECT s, n, d, m, k, n * k * (2 * d - m) AS ranked, n * (2 * d - m) AS norms, ceil(n / 2048.0)::BIGINT * m AS blocks FROM p, s),
+c AS (SELECT s, unnest([
+    {'k': 'arithmetic', 'v': CASE s WHEN 'lane_by_dimension' THEN n * k * (3 * d - m) WHEN 'tiled_full' THEN n * k * (3 * d - m) WHEN 'staged' THEN ranked + n * m * k ELSE norms + 3 * n * m * k + ranked END},
+    {'k': 'compares', 'v': n * m * (k - 1)}, {'k': 'distances', 'v': n * m * k},
+    {'k': 'score_cells', 'v': CASE WHEN s IN ('tiled_full', 'staged') THEN 0 ELSE n * m * k END},
+    {'k': 'live_score_bytes', 'v': CASE s WHEN 'lane_by_dimension' THEN 4 * k WHEN 'matrix' THEN 4 * n * k WHEN 'expanded' THEN 4 * 2048 * k ELSE 4 * 2048 * 16 END},
+    {'k': 'codebook_switches', 'v': CASE s WHEN 'matrix' THEN m WHEN 'tiled_full' THEN blocks WHEN 'staged' THEN blocks ELSE n * m END},
+    {'k': 'bytes_in', 'v': 4 * n * d}, {'k': 'bytes_out', 'v': n * m}, {'k': 'codebook_bytes', 'v': 4 * k * (d + m)}, {'k': 'offline', 'v': 2 * k * d}, {'k': 'transfer_bytes', 'v': n * (4 * d + m)}], recursive := true) FROM v)
+SELECT s AS strategy, k AS counter, v::BIGINT AS value FROM c"""
+register("cost_model_all", _COST)(lambda s, d: cost.model(s, _n(s, d), 64, 4, 256))
 register("lane_utilisation", "SELECT w AS width, least(1.0, w / (16.0 * ceil(w / 16.0)))::DOUBLE AS by_dimension, 1.0::DOUBLE AS by_centroid FROM (SELECT unnest([2, 4, 8, 16, 32]) AS w)")(
     lambda s, d: s.createDataFrame([(w, *cost.lane_use(w, 16, 256)) for w in (2, 4, 8, 16, 32)], "width int, by_dimension double, by_centroid double")
 )
@@ -282,8 +304,7 @@ register("graph_build")(lambda s, d: index.build_graph(rows(s, d), 16, 32, block
 @register("beam_search")
 def _(s, d):
     e, model = rows(s, d), train.lloyd(rows(s, d), config(width=4, iterations=5))
-    codes = encode.encode(e, model).persist()
-    graph = index.build_graph(e, 16, 32).persist()
+    codes, graph = encode.encode(e, model), index.build_graph(e, 16, 32)
     return index.beam(queries_of(e), graph, codes, model, e, [0, 1, 2, 3], width=64)
 
 
@@ -332,8 +353,12 @@ def _(s, d):
 
 
 def work_folder(s: SparkSession) -> str:
-    """A new folder in the shared one (a temporary one where none is named, as in tests)."""
-    shared = s.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="pqspark-")
+    """A new folder in the shared one; a temporary one only in one local process that names none, as in tests."""
+    shared = s.conf.get("spark.checkpoint.dir", None)
+    if not shared:
+        if not s.sparkContext.master.startswith("local") or s.sparkContext.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all machines share")
+        shared = tempfile.mkdtemp(prefix="pqspark-")
     return f"{shared.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 

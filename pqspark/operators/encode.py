@@ -10,10 +10,12 @@ from pyspark.sql import types as T
 
 from pqspark.functions import kernels
 from pqspark.functions.arrow import matrix
+from pqspark.functions.arrow import vectors as as_lists
 from pqspark.model import PQModel
-from pqspark.operators import layout
+from pqspark.operators import layout, vectors
 
-KERNELS = ("staged", "tiled", "expanded", "matrix", "rowwise")
+KERNELS = ("staged", "tiled", "expanded", "matrix", "lane_by_dimension", "rowwise")
+DECLARED = ("relational", "hof", "flat_expr", "scalar_udf")
 
 
 def encode(
@@ -27,26 +29,22 @@ def encode(
     on_bad: str = "reject",
     **options,
 ) -> DataFrame:
-    """df's id, kept columns and codes (array<smallint>), code (binary), or both.
+    """df's id, kept columns and codes (array<smallint>, array<int> beyond 32 768 centroids), code (binary), or both.
 
     One narrow pass: columns are chosen below the map, so that the scan reads
     only these; the model is broadcast, rows stream through.  Rows with a null
     vector, a wrong length, or null or non-finite components are left out
-    (reject), get null codes (null_code), or raise (fail).
+    (reject), get null codes (null_code), or raise (fail), whatever the strategy.
     """
-    if strategy == "relational":
-        return relational(df, model, id_col, vector, keep, **options)
-    if strategy == "hof":
-        return hof(df, model, id_col, vector, keep)
-    if strategy == "flat_expr":
-        return flat(df, model, id_col, vector, keep)
-    if strategy == "scalar_udf":
-        return scalar_udf(df, model, id_col, vector, keep)
+    if on_bad not in ("reject", "null_code", "fail") or out not in ("array", "binary", "both"):
+        raise ValueError("on_bad is reject, null_code or fail; out is array, binary or both")
+    if strategy in DECLARED:
+        return _declared(df, model, strategy, id_col, vector, keep, out, on_bad, **options)
     if strategy not in KERNELS:
-        raise ValueError(f"strategy must be one of {(*KERNELS, 'relational', 'hof', 'flat_expr', 'scalar_udf')}")
+        raise ValueError(f"strategy must be one of {(*KERNELS, *DECLARED)}")
     source = df.select(id_col, *keep, vector)
     fields = [f for f in source.schema.fields if f.name != vector]
-    fields += [T.StructField("codes", T.ArrayType(T.ShortType()))] if out in ("array", "both") else []
+    fields += [T.StructField("codes", T.ArrayType(T.ShortType() if model.code_type == "smallint" else T.IntegerType()))] if out in ("array", "both") else []
     fields += [T.StructField("code", T.BinaryType())] if out in ("binary", "both") else []
     sent = df.sparkSession.sparkContext.broadcast(model)
     dim, bits = model.config.dim, model.config.bits
@@ -71,7 +69,7 @@ def encode(
                 take = None
             made = []
             if out in ("array", "both"):
-                made.append(pa.ListArray.from_arrays(pa.array(np.arange(0, codes.size + 1, codes.shape[1]), pa.int32()), pa.array(codes.reshape(-1), pa.int16())))
+                made.append(pa.ListArray.from_arrays(pa.array(np.arange(0, codes.size + 1, codes.shape[1]), pa.int32()), pa.array(codes.reshape(-1))))
             if out in ("binary", "both"):
                 made.append(pa.array(kernels.pack(codes, bits), pa.binary()))
             columns += [c if take is None else c.take(take) for c in made]
@@ -80,6 +78,25 @@ def encode(
     return source.mapInArrow(rows, T.StructType(fields))
 
 
+def _declared(df: DataFrame, model: PQModel, strategy: str, id_col: str, vector: str, keep: tuple[str, ...], out: str, on_bad: str, **options) -> DataFrame:
+    """The strategies that are expressions or joins, with bad vectors set aside before them."""
+    why = vectors.reason(vector, model.config.dim)
+    if on_bad == "fail":
+        good = df.withColumn(vector, F.when(why.isNull(), F.col(vector)).otherwise(F.raise_error(F.concat(F.lit("a vector can't be encoded: "), why))))
+    else:
+        good = df.filter(why.isNull())
+    run = {"relational": relational, "hof": hof, "flat_expr": flat, "scalar_udf": scalar_udf}[strategy]
+    made = run(good, model, id_col, vector, keep, **options)
+    made = made.withColumn("codes", F.col("codes").cast(f"array<{model.code_type}>"))
+    if out != "array":
+        made = layout.pack(made, model.config.bits)
+    made = made if out != "binary" else made.drop("codes")
+    if on_bad != "null_code":
+        return made
+    missing = [F.lit(None).cast(f.dataType).alias(f.name) for f in made.schema.fields if f.name in ("codes", "code")]
+    return made.unionByName(df.filter(why.isNotNull()).select(id_col, *keep, *missing))
+
+
 def scored_rows(df: DataFrame, model: PQModel, score: str = "ranking", alpha: Column | None = None, id_col: str = "vec_id", vector: str = "embedding", keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, chunk, centroid, score) of every piece and centroid: the table that the matrix baseline materializes."""
     subs = layout.split(df, model.config, "rows", id_col, vector, keep)
@@ -107,7 +124,7 @@ def winners(scored: DataFrame, winner: str = "struct", id_col: str = "vec_id", k
 
 def collected(won: DataFrame, id_col: str = "vec_id", keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, codes) in chunk order from (id, chunk, code)."""
-    codes = F.transform(F.array_sort(F.collect_list(F.struct("chunk", "code"))), lambda s: s.code.cast("smallint"))
+    codes = F.transform(F.array_sort(F.collect_list(F.struct("chunk", "code"))), lambda s: s.code.cast("int"))
     return won.groupBy(id_col, *keep).agg(codes.alias("codes"))
 
 
@@ -163,21 +180,47 @@ def scalar_udf(df: DataFrame, model: PQModel, id_col: str = "vec_id", vector: st
     return df.select(id_col, *keep, one(vector).alias("codes"))
 
 
+def _centroids(codes: pa.Array, model: PQModel) -> np.ndarray:
+    """[rows, dimensions]: the centroids of the codes in a row."""
+    code = codes.flatten().to_numpy().reshape(len(codes), model.chunks)
+    return np.concatenate([book[code[:, j]] for j, book in enumerate(model.books)], axis=1)[:, : model.config.dim]
+
+
 def decode(codes: DataFrame, model: PQModel, id_col: str = "vec_id", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(id, decoded): the centroids of the codes in a row."""
-    book = model.codebook(codes.sparkSession).select("chunk", F.col("centroid").alias("code"), "coords")
-    each = codes.select(id_col, *keep, F.posexplode("codes").alias("chunk", "code")).withColumn("code", F.col("code").cast("int"))
-    parts = F.array_sort(F.collect_list(F.struct("chunk", "coords")))
-    whole = each.join(F.broadcast(book), ["chunk", "code"]).groupBy(id_col, *keep).agg(F.flatten(F.transform(parts, lambda s: s.coords)).alias("decoded"))
-    return whole.withColumn("decoded", F.slice("decoded", 1, model.config.dim))
+    """(id, decoded): the centroids of the codes in a row, in one narrow pass; rows without codes are left out."""
+    source = codes.filter(F.col("codes").isNotNull()).select(id_col, *keep, "codes")
+    sent = codes.sparkSession.sparkContext.broadcast(model)
+
+    def rows(batches):
+        for batch in batches:
+            decoded = _centroids(batch.column(batch.num_columns - 1), sent.value) if batch.num_rows else np.zeros((0, sent.value.config.dim))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], as_lists(decoded, pa.float64())], names=[*batch.schema.names[:-1], "decoded"])
+
+    return source.mapInArrow(rows, T.StructType([*source.schema.fields[:-1], T.StructField("decoded", T.ArrayType(T.DoubleType()))]))
 
 
 def distortion(df: DataFrame, codes: DataFrame, model: PQModel, by: tuple[str, ...] = (), id_col: str = "vec_id", vector: str = "embedding") -> DataFrame:
-    """(by..., chunk, mse, n): mean squared error of the codes, by chunk."""
-    book = model.codebook(df.sparkSession).select("chunk", F.col("centroid").alias("code"), "coords")
-    each = codes.select(id_col, F.posexplode("codes").alias("chunk", "code")).withColumn("code", F.col("code").cast("int"))
-    pairs = layout.split(df, model.config, "rows", id_col, vector, by).join(each, [id_col, "chunk"]).join(F.broadcast(book), ["chunk", "code"])
-    return pairs.groupBy(*by, "chunk").agg(F.avg(layout.squared("sub", "coords")).alias("mse"), F.count("*").alias("n"))
+    """(by..., chunk, mse, n): mean squared error of the codes, by chunk; one join by id, and sums of a task's rows before the shuffle."""
+    pairs = df.select(id_col, *by, vector).join(codes.filter(F.col("codes").isNotNull()).select(id_col, "codes"), id_col).select(*by, vector, "codes")
+    sent = df.sparkSession.sparkContext.broadcast(model)
+    m = model.chunks
+
+    def rows(batches):
+        own = sent.value
+        for batch in batches:
+            good, x = matrix(batch.column(batch.num_columns - 2), own.config.dim)
+            if len(good) < batch.num_rows:
+                batch = batch.take(pa.array(good))
+            if not batch.num_rows:
+                continue
+            gap = np.asarray(x, np.float64) - _centroids(batch.column(batch.num_columns - 1), own)
+            cut = [o for o in own.offsets[:-1] if o < own.config.dim]
+            error = np.add.reduceat(gap * gap, cut, axis=1)
+            kept = [c.take(pa.array(np.repeat(np.arange(batch.num_rows), m))) for c in batch.columns[:-2]]
+            yield pa.RecordBatch.from_arrays([*kept, pa.array(np.tile(np.arange(m, dtype=np.int32), batch.num_rows)), pa.array(error.reshape(-1))], names=[*by, "chunk", "error"])
+
+    fields = [*pairs.schema.fields[:-2], T.StructField("chunk", T.IntegerType()), T.StructField("error", T.DoubleType())]
+    return pairs.mapInArrow(rows, T.StructType(fields)).groupBy(*by, "chunk").agg(F.avg("error").alias("mse"), F.count("*").alias("n"))
 
 
 def score_to_distance(scored: DataFrame) -> DataFrame:
@@ -191,9 +234,21 @@ def only_new(df: DataFrame, encoded: DataFrame, id_col: str = "vec_id", vector:
     return keyed.join(encoded.select(id_col, "content"), [id_col, "content"], "left_anti")
 
 
+def residuals(df: DataFrame, coarse: PQModel, id_col: str = "vec_id", vector: str = "embedding") -> DataFrame:
+    """(id, list, residual): the list of the coarse model (one chunk) and what its centroid leaves over, in one narrow pass."""
+    sent = df.sparkSession.sparkContext.broadcast(coarse)
+
+    def rows(batches):
+        own = sent.value
+        for batch in batches:
+            good, x = matrix(batch.column(1), own.config.dim)
+            x = np.asarray(x, np.float64)
+            found = kernels.encode(x, own)[:, 0].astype(np.int32) if len(x) else np.zeros(0, np.int32)
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(good, pa.int64())), pa.array(found), as_lists(x - own.books[0][found], pa.float64())], names=[id_col, "list", "residual"])
+
+    return df.select(F.col(id_col), vector).mapInArrow(rows, f"{id_col} long, list int, residual array<double>")
+
+
 def residual_encode(df: DataFrame, coarse: PQModel, fine: PQModel, id_col: str = "vec_id", vector: str = "embedding") -> DataFrame:
-    """Two stages: the list of the coarse model (one chunk), and codes of what it leaves over."""
-    first = decode(encode(df, coarse, id_col=id_col, vector=vector), coarse, id_col)
-    left = df.select(id_col, vector).join(first, id_col).withColumn("residual", F.zip_with(layout.doubles(vector), "decoded", lambda a, b: a - b))
-    codes = encode(left, fine, id_col=id_col, vector="residual")
-    return encode(df, coarse, id_col=id_col, vector=vector).select(id_col, F.get("codes", F.lit(0)).cast("int").alias("list")).join(codes, id_col)
+    """(id, list, codes): two stages in narrow passes; fine is a model of residuals (train it on residuals())."""
+    return encode(residuals(df, coarse, id_col, vector), fine, id_col=id_col, vector="residual", keep=("list",))

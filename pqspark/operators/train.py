@@ -15,8 +15,27 @@ from pqspark.model import PQConfig, PQModel
 from pqspark.operators import encode as enc
 from pqspark.operators import layout
 
-#: Sums are taken in whole multiples of 2**-24, so that they do not depend on the order of addition.
+#: Sums are taken in whole multiples of 1 / UNIT (or larger ones where the data would overflow), so that they do not depend on the order of addition.
 UNIT = 1 << 24
+#: Rows of a batch that are added up in floats at a time.
+BATCH = 1 << 14
+
+
+def units(rows: DataFrame, config: PQConfig, vector: str) -> tuple[float, float]:
+    """(unit of coordinates, unit of squared errors): powers of two, UNIT where the data allow it.
+
+    Sums of a batch must stay below 2**53 (floats) and sums of all rows below
+    2**62 (whole numbers).
+    """
+    v = layout.doubles(vector)
+    finite = F.filter(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf")))
+    top, n = rows.agg(F.max(F.array_max(F.transform(finite, lambda x: F.abs(x)))), F.count("*")).first()
+    top, n = max(float(top or 0.0), 1e-300), max(1, n)
+    out = []
+    for most in (top, 4 * top * top * config.dim):
+        room = min(53 - np.log2(min(n, BATCH)), 62 - np.log2(n)) - np.log2(most)
+        out.append(2.0 ** min(24, int(np.floor(room))))
+    return out[0], out[1]
 
 
 def sample(df: DataFrame, n: int, seed: int = 42, method: str = "hash", id_col: str = "vec_id", by: str | None = None) -> DataFrame:
@@ -67,20 +86,18 @@ def _weighted(p: np.ndarray, k: int, rng: np.random.Generator, batch: int) -> np
     return p[list(dict.fromkeys(chosen))[:k]]
 
 
-def _partial_rows(sent, vector: str, score: str):
+def _partial_rows(sent, vector: str, score: str, unit: tuple[float, float] = (float(UNIT), float(UNIT))):
     """(chunk, centroid, dim, total): whole-number sums of a partition; dim -1 counts rows, dim -2 adds up squared errors."""
 
     def rows(batches):
         model: PQModel = sent.value
         total: dict[int, np.ndarray] = {}
-        for batch in batches:
-            _, x = matrix(batch.column(0), model.config.dim)
-            x = np.asarray(x, np.float64)
-            codes = kernels.encode(x, model, "tiled", score=score)
+        for x in (x[a : a + BATCH] for batch in batches for x in (np.asarray(matrix(batch.column(0), model.config.dim)[1], np.float64),) for a in range(0, len(x), BATCH)):
+            codes = kernels.encode(x, model) if score == "ranking" else kernels.encode(x, model, "tiled", score=score)
             for j in range(model.chunks):
                 p, code, k = kernels.piece(x, model, j), codes[:, j].astype(np.int64), len(model.books[j])
                 gap = p - model.books[j][code]
-                columns = [np.floor(p[:, d] * UNIT + 0.5) for d in range(p.shape[1])] + [np.ones(len(p)), np.floor((gap * gap).sum(axis=1) * UNIT + 0.5)]
+                columns = [np.floor(p[:, d] * unit[0] + 0.5) for d in range(p.shape[1])] + [np.ones(len(p)), np.floor((gap * gap).sum(axis=1) * unit[1] + 0.5)]
                 part = np.stack([np.bincount(code, weights=c, minlength=k) for c in columns], axis=1).astype(np.int64)
                 total[j] = total.get(j, 0) + part
         for j, part in total.items():
@@ -103,12 +120,13 @@ def lloyd(df: DataFrame, config: PQConfig, start: PQModel | None = None, id_col:
     model = start or seeds(df, config, id_col, vector)
     inertia: list[float] = []
     spark = df.sparkSession
+    unit = units(rows, config, vector)
     for _ in range(config.iterations):
         sent = spark.sparkContext.broadcast(model)
-        partial = rows.mapInArrow(_partial_rows(sent, vector, score), "chunk int, centroid int, dim int, total long")
+        partial = rows.mapInArrow(_partial_rows(sent, vector, score, unit), "chunk int, centroid int, dim int, total long")
         got = partial.groupBy("chunk", "centroid", "dim").agg(F.sum("total").alias("total")).toArrow()
         sent.destroy()
-        model, error = _moved(model, got, config)
+        model, error = _moved(model, got, config, unit)
         inertia.append(error)
         if on_iteration:
             on_iteration(model, error)
@@ -118,7 +136,7 @@ def lloyd(df: DataFrame, config: PQConfig, start: PQModel | None = None, id_col:
     return PQModel(config, model.books, inertia, model.model_id)
 
 
-def _moved(model: PQModel, got: pa.Table, config: PQConfig) -> tuple[PQModel, float]:
+def _moved(model: PQModel, got: pa.Table, config: PQConfig, unit: tuple[float, float]) -> tuple[PQModel, float]:
     chunk, centroid, dim, total = (got.column(k).to_numpy() for k in range(4))
     books, error = [], 0
     for j, book in enumerate(model.books):
@@ -129,7 +147,7 @@ def _moved(model: PQModel, got: pa.Table, config: PQConfig) -> tuple[PQModel, fl
         error += int(sums[:, -2].sum())
         new = book.copy()
         full = n > 0
-        new[full] = sums[full, : book.shape[1]] / float(UNIT) / n[full, None]
+        new[full] = sums[full, : book.shape[1]] / unit[0] / n[full, None]
         empty = np.flatnonzero(~full)
         if len(empty) and config.empty == "split":
             for e, big in zip(empty.tolist(), np.argsort(-n, kind="stable").tolist()):
@@ -139,7 +157,7 @@ def _moved(model: PQModel, got: pa.Table, config: PQConfig) -> tuple[PQModel, fl
             for e, w in zip(empty.tolist(), worst.tolist()):
                 new[e] = new[w] + 1e-3
         books.append(new)
-    return PQModel(config, books, model_id=model.model_id), error / UNIT
+    return PQModel(config, books, model_id=model.model_id), error / unit[1]
 
 
 def lloyd_sql(df: DataFrame, config: PQConfig, id_col: str = "vec_id", vector: str = "embedding") -> PQModel:
@@ -181,8 +199,9 @@ def lloyd_grouped(rows: DataFrame, config: PQConfig, id_col: str = "vec_id", vec
 def refresh(model: PQModel, new: DataFrame, decay: float = 0.5, vector: str = "embedding") -> PQModel:
     """One pass over new rows: centroids move to the mean of their new rows, old places weighing decay."""
     sent = new.sparkSession.sparkContext.broadcast(model)
-    partial = new.select(vector).mapInArrow(_partial_rows(sent, vector, "ranking"), "chunk int, centroid int, dim int, total long")
-    moved, error = _moved(model, partial.groupBy("chunk", "centroid", "dim").agg(F.sum("total").alias("total")).toArrow(), model.config)
+    unit = units(new, model.config, vector)
+    partial = new.select(vector).mapInArrow(_partial_rows(sent, vector, "ranking", unit), "chunk int, centroid int, dim int, total long")
+    moved, error = _moved(model, partial.groupBy("chunk", "centroid", "dim").agg(F.sum("total").alias("total")).toArrow(), model.config, unit)
     return PQModel(model.config, [decay * a + (1 - decay) * b for a, b in zip(model.books, moved.books, strict=True)], [error], f"{model.model_id}+")
 
 

@@ -42,10 +42,10 @@ def lloyd(iterations: int, width: int = 16, k: int = 16) -> str:
 
 CODES = "SELECT vec_id, string_agg(centroid::VARCHAR, ',' ORDER BY chunk) AS codes FROM codes GROUP BY vec_id"
 
-EXACT = """pairs AS (SELECT q.vec_id AS query_id, b.vec_id, list_sum(list_transform(list_zip(q.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS dist FROM e q, e b WHERE q.vec_id % 50 = 0 AND q.vec_id <> b.vec_id),
+EXACT = """pairs AS (SELECT q.vec_id AS query_id, b.vec_id, list_sum(list_transform(list_zip(q.v, b.v), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS dist FROM e q, e b WHERE q.vec_id % 20 = 0 AND q.vec_id <> b.vec_id),
 truth AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY dist, vec_id)::INT AS rank FROM pairs) WHERE rank <= 10)"""
 
-LUT = "lut AS (SELECT s.vec_id AS query_id, s.chunk, centroid, list_sum(list_transform(list_zip(x, c), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS d FROM sub s JOIN cb ON s.chunk = cb.chunk WHERE s.vec_id % 50 = 0)"
+LUT = "lut AS (SELECT s.vec_id AS query_id, s.chunk, centroid, list_sum(list_transform(list_zip(x, c), lambda z: (z[1] - z[2]) * (z[1] - z[2]))) AS d FROM sub s JOIN cb ON s.chunk = cb.chunk WHERE s.vec_id % 20 = 0)"
 
 ADC = LUT + """,
 far AS (SELECT query_id, c.vec_id, any_value(c.label) AS label, sum(d) AS dist FROM codes c JOIN lut ON c.chunk = lut.chunk AND c.centroid = lut.centroid WHERE query_id <> c.vec_id GROUP BY 1, 2),

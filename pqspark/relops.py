@@ -8,7 +8,7 @@ from pyspark.sql.window import Window
 
 from pqspark import oracle
 from pqspark.model import PQConfig
-from pqspark.operators import encode, layout, train, vectors
+from pqspark.operators import encode, layout, search, train, vectors
 
 _queries: dict = {}
 _oracle: dict[str, str] = {}
@@ -57,19 +57,18 @@ register("join_codes_docs", f"{BASE} SELECT vec_id, chunk, centroid AS code, lan
 )
 
 
-@register("join_broadcast", f"WITH {oracle.rows()}, {oracle.cut(16)}, {oracle.book(16)} SELECT vec_id, s.chunk, centroid, round(list_dot_product(x, c), 6) AS product FROM sub s JOIN cb USING (chunk) WHERE vec_id < 40")
+@register("join_broadcast", f"WITH {oracle.rows()}, {oracle.cut(16)}, {oracle.book(16)} SELECT vec_id, s.chunk, centroid, round(list_dot_product(x, c), 6) AS product FROM sub s JOIN cb USING (chunk)")
 def _(s, d):
     e = table(s, d, "embeddings")
     book = train.seeds(e, PQConfig(k=16, init="first")).codebook(s)
-    subs = layout.split(e.filter("vec_id < 40"), PQConfig(k=16))
+    subs = layout.split(e, PQConfig(k=16))
     return subs.join(F.broadcast(book), "chunk").select("vec_id", "chunk", "centroid", F.round(layout.dot("sub", "coords"), 6).alias("product"))
 
 
-@register("join_theta", "SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a, embeddings b WHERE a.vec_id < 100 AND b.vec_id < 100 AND a.vec_id < b.vec_id AND list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: (z[1]::DOUBLE - z[2]) * (z[1]::DOUBLE - z[2]))) < 1.6")
+@register("join_theta", "SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a, embeddings b WHERE a.vec_id < b.vec_id AND list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda z: (z[1]::DOUBLE - z[2]) * (z[1]::DOUBLE - z[2]))) < 1.6")
 def _(s, d):
-    e = table(s, d, "embeddings").filter("vec_id < 100").select("vec_id", layout.doubles().alias("v"))
-    a, b = e.toDF("a", "x"), e.toDF("b", "y")
-    return a.join(b, (F.col("a") < F.col("b")) & (layout.squared("x", "y") < 1.6)).select("a", "b")
+    """All pairs under a distance: queries in blocks against all rows, within the tasks."""
+    return search.within(table(s, d, "embeddings"), table(s, d, "embeddings"), 1.6).filter("query_id < vec_id").select(F.col("query_id").alias("a"), F.col("vec_id").alias("b"))
 
 
 @register("join_range", "SELECT c_custkey, (floor(c_acctbal / 1000))::BIGINT AS band FROM customer WHERE c_acctbal >= 0 AND c_acctbal < 10000")

@@ -100,18 +100,20 @@ def w2_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = []
     for times in (1, 4):
         df = vectors.replicate(vectors.collection("emb64", spark, sf_dir).select("vec_id", "embedding"), times, 0.05).persist()
-        q = df.filter("vec_id % 100 = 0")
+        q = df.filter("vec_id % 20 = 0")
         truth = search.exact(q, df).persist()
         for width in (8, 4, 2):
             model = train.lloyd(df, PQConfig(width=width, k=16, iterations=3))
             codes = encode.encode(df, model).persist()
             codes.count()
-            need = search.tune(search.adc(q, codes, model, 1000), truth, 10, 0.95).first().l
+            need = search.tune(lambda l, codes=codes, model=model: search.adc(q, codes, model, l), truth, 10, 0.95)
             t = time.perf_counter()
-            search.rerank(search.adc(q, codes, model, need or 1000), q, df).count()
+            search.rerank(search.adc(q, codes, model, need), q, df).count()
             p = {"bits": str(64 // width * 4), "times": str(times)}
-            out += [("w2", "staged", "candidates", float(need or -1), p), ("w2", "staged", "queries_per_s", q.count() / (time.perf_counter() - t), p)]
+            out += [("w2", "staged", "candidates", float(need), p), ("w2", "staged", "queries_per_s", q.count() / (time.perf_counter() - t), p)]
             codes.unpersist()
+        truth.unpersist()
+        df.unpersist()
     return spark.createDataFrame(out, MEASURED)
 
 
@@ -129,7 +131,7 @@ def w3_all_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w4_tradeoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Build time against recall over code sizes, for both strategies."""
     df, dim = _rows(spark, sf_dir, "emb64")
-    q = df.filter("vec_id % 50 = 0")
+    q = df.filter("vec_id % 20 = 0")
     truth = search.exact(q, df).persist()
     out = []
     for width in (16, 8, 4, 2):
@@ -188,7 +190,7 @@ def w10_defaults(spark: SparkSession, sf_dir: str) -> DataFrame:
 def w12_width(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall, distortion and use of lanes by the width of a piece."""
     df, dim = _rows(spark, sf_dir, "emb64")
-    q = df.filter("vec_id % 50 = 0")
+    q = df.filter("vec_id % 20 = 0")
     truth = search.exact(q, df).persist()
     out = []
     for width in (32, 16, 8, 4, 2):
