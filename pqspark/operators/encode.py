@@ -97,6 +97,26 @@ def _declared(df: DataFrame, model: PQModel, strategy: str, id_col: str, vector:
     return made.unionByName(df.filter(why.isNotNull()).select(id_col, *keep, *missing))
 
 
+def profiled(df: DataFrame, model: PQModel, strategy: str = "staged", vector: str = "embedding", **options) -> DataFrame:
+    """(n, cpu_s, faults, switches, peak_mb) of each batch: what the system counts while a kernel encodes it."""
+    sent = df.sparkSession.sparkContext.broadcast(model)
+
+    def rows(batches):
+        import resource
+
+        own = sent.value
+        for batch in batches:
+            _, x = matrix(batch.column(0), own.config.dim)
+            x = np.asarray(x, np.float64)
+            a = resource.getrusage(resource.RUSAGE_SELF)
+            kernels.encode(x, own, strategy, **options)
+            b = resource.getrusage(resource.RUSAGE_SELF)
+            told = (len(x), b.ru_utime + b.ru_stime - a.ru_utime - a.ru_stime, b.ru_minflt + b.ru_majflt - a.ru_minflt - a.ru_majflt, b.ru_nvcsw + b.ru_nivcsw - a.ru_nvcsw - a.ru_nivcsw, b.ru_maxrss / 1024)
+            yield pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(told, (pa.int64(), pa.float64(), pa.int64(), pa.int64(), pa.float64()), strict=True)], names=["n", "cpu_s", "faults", "switches", "peak_mb"])
+
+    return df.select(vector).mapInArrow(rows, "n long, cpu_s double, faults long, switches long, peak_mb double")
+
+
 def scored_rows(df: DataFrame, model: PQModel, score: str = "ranking", alpha: Column | None = None, id_col: str = "vec_id", vector: str = "embedding", keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, chunk, centroid, score) of every piece and centroid: the table that the matrix baseline materializes."""
     subs = layout.split(df, model.config, "rows", id_col, vector, keep)

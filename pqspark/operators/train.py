@@ -86,14 +86,14 @@ def _weighted(p: np.ndarray, k: int, rng: np.random.Generator, batch: int) -> np
     return p[list(dict.fromkeys(chosen))[:k]]
 
 
-def _partial_rows(sent, vector: str, score: str, unit: tuple[float, float] = (float(UNIT), float(UNIT))):
+def _partial_rows(sent, vector: str, kernel: tuple[str, dict], unit: tuple[float, float] = (float(UNIT), float(UNIT))):
     """(chunk, centroid, dim, total): whole-number sums of a partition; dim -1 counts rows, dim -2 adds up squared errors."""
 
     def rows(batches):
         model: PQModel = sent.value
         total: dict[int, np.ndarray] = {}
         for x in (x[a : a + BATCH] for batch in batches for x in (np.asarray(matrix(batch.column(0), model.config.dim)[1], np.float64),) for a in range(0, len(x), BATCH)):
-            codes = kernels.encode(x, model) if score == "ranking" else kernels.encode(x, model, "tiled", score=score)
+            codes = kernels.encode(x, model, kernel[0], **kernel[1])
             for j in range(model.chunks):
                 p, code, k = kernels.piece(x, model, j), codes[:, j].astype(np.int64), len(model.books[j])
                 gap = p - model.books[j][code]
@@ -108,13 +108,15 @@ def _partial_rows(sent, vector: str, score: str, unit: tuple[float, float] = (fl
     return rows
 
 
-def lloyd(df: DataFrame, config: PQConfig, start: PQModel | None = None, id_col: str = "vec_id", vector: str = "embedding", score: str = "ranking", on_iteration=None) -> PQModel:
+def lloyd(df: DataFrame, config: PQConfig, start: PQModel | None = None, id_col: str = "vec_id", vector: str = "embedding", score: str = "ranking", on_iteration=None, kernel: tuple[str, dict] | None = None) -> PQModel:
     """Train all chunks at once: tasks add up their rows by winner, the driver divides m * k sums.
 
     Every iteration starts from the same (sampled) rows, so the lineage stays
     flat.  Stops after config.iterations, when no sum changes, or when the
-    relative gain in inertia falls below config.tol.
+    relative gain in inertia falls below config.tol.  kernel names another
+    encoding strategy and its options, for comparisons.
     """
+    kernel = kernel or (("staged", {}) if score == "ranking" else ("tiled", {"score": score}))
     rows = sample(df, config.sample, config.seed, id_col=id_col) if config.sample else df
     rows = rows.select(vector).persist()
     model = start or seeds(df, config, id_col, vector)
@@ -123,7 +125,7 @@ def lloyd(df: DataFrame, config: PQConfig, start: PQModel | None = None, id_col:
     unit = units(rows, config, vector)
     for _ in range(config.iterations):
         sent = spark.sparkContext.broadcast(model)
-        partial = rows.mapInArrow(_partial_rows(sent, vector, score, unit), "chunk int, centroid int, dim int, total long")
+        partial = rows.mapInArrow(_partial_rows(sent, vector, kernel, unit), "chunk int, centroid int, dim int, total long")
         got = partial.groupBy("chunk", "centroid", "dim").agg(F.sum("total").alias("total")).toArrow()
         sent.destroy()
         model, error = _moved(model, got, config, unit)
@@ -200,7 +202,7 @@ def refresh(model: PQModel, new: DataFrame, decay: float = 0.5, vector: str = "e
     """One pass over new rows: centroids move to the mean of their new rows, old places weighing decay."""
     sent = new.sparkSession.sparkContext.broadcast(model)
     unit = units(new, model.config, vector)
-    partial = new.select(vector).mapInArrow(_partial_rows(sent, vector, "ranking", unit), "chunk int, centroid int, dim int, total long")
+    partial = new.select(vector).mapInArrow(_partial_rows(sent, vector, ("staged", {}), unit), "chunk int, centroid int, dim int, total long")
     moved, error = _moved(model, partial.groupBy("chunk", "centroid", "dim").agg(F.sum("total").alias("total")).toArrow(), model.config, unit)
     return PQModel(model.config, [decay * a + (1 - decay) * b for a, b in zip(model.books, moved.books, strict=True)], [error], f"{model.model_id}+")
 

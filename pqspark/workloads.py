@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -47,39 +48,63 @@ def timed(run: Callable[[], DataFrame], runs: int = 3, warmup: int = 1) -> list[
     return took
 
 
-def speedup(measured: DataFrame, base: str) -> DataFrame:
-    """(workload, variant, seconds, speedup, reduction) against the base variant."""
-    seconds = measured.filter("metric = 'encode_s'").select("workload", "params", "variant", F.col("value").alias("seconds"))
+def speedup(measured: DataFrame, base: str, metric: str = "pq_s") -> DataFrame:
+    """(workload, params, variant, seconds, speedup, reduction) against the base variant; seconds are means over the runs."""
+    keyed = measured.filter(F.col("metric") == metric).withColumn("params", F.to_json("params"))
+    seconds = keyed.groupBy("workload", "params", "variant").agg(F.avg("value").alias("seconds"))
     ref = seconds.filter(F.col("variant") == base).select("workload", "params", F.col("seconds").alias("ref"))
-    keyed = lambda df: df.withColumn("p", F.to_json("params")).drop("params")
-    out = keyed(seconds).join(keyed(ref), ["workload", "p"])
-    return out.select("workload", F.col("p").alias("params"), "variant", "seconds", (F.col("ref") / F.col("seconds")).alias("speedup"), (1 - F.col("seconds") / F.col("ref")).alias("reduction"))
+    out = seconds.join(ref, ["workload", "params"])
+    return out.select("workload", "params", "variant", "seconds", (F.col("ref") / F.col("seconds")).alias("speedup"), (1 - F.col("seconds") / F.col("ref")).alias("reduction"))
 
 
-def _rows(spark: SparkSession, sf_dir: str, name: str, **options) -> tuple[DataFrame, int]:
-    df = vectors.collection(name, spark, sf_dir, **options).select("vec_id", "embedding").persist()
+#: Rows that a measurement needs, at least, for its seconds to be those of the kernel; smaller collections are replicated with jitter.
+ENOUGH, PLENTY = 10_000, 100_000
+#: Runs after a warm-up that a mean is taken of.
+RUNS = 5
+
+
+def _rows(spark: SparkSession, sf_dir: str, name: str, least: int = 0, **options) -> tuple[DataFrame, int]:
+    """A collection, kept in memory and dealt evenly, and its dimensions."""
+    df = vectors.collection(name, spark, sf_dir, **options).select("vec_id", "embedding")
+    if least:
+        n = max(1, df.count())
+        df = vectors.replicate(df, -(-least // n), 0.01) if n < least else df
+        df = df.repartition(spark.sparkContext.defaultParallelism)
+    df = df.persist()
     first = df.select(F.size("embedding").alias("n")).first()
     return df, first.n if first else 0
 
 
-def _measure(workload: str, df: DataFrame, config: PQConfig, variants: dict, params: dict, runs: int = 1) -> list[tuple]:
-    """Encoding time, share of equal codes, and counted work of each variant on one trained model."""
-    model = train.lloyd(df, config)
-    want = encode.encode(df, model)
+def _measure(workload: str, df: DataFrame, config: PQConfig, variants: dict, params: dict, runs: int = 3) -> list[tuple]:
+    """Training and encoding time, share of equal codes, and counted work of each variant on one trained model.
+
+    A variant trains with its own kernel; pq_s is that and the mean of its encoding runs.
+    """
+    model = train.lloyd(df, config)  # also the warm-up
+    want = encode.encode(df, model).persist()
     n = df.count()
     out = []
     for variant, (strategy, options) in variants.items():
+        t = time.perf_counter()
+        own = train.lloyd(df, config, kernel=(strategy, options)) if strategy != "scalar_udf" else model
+        train_s = time.perf_counter() - t
         run = lambda strategy=strategy, options=options: encode.encode(df, model, strategy, **options)
-        for seconds in timed(run, runs):
-            out.append((workload, variant, "encode_s", seconds, params))
+        took = timed(run, runs)
+        out += [(workload, variant, "encode_s", seconds, params) for seconds in took]
+        out.append((workload, variant, "train_s", train_s, params))
+        out.append((workload, variant, "pq_s", train_s + sum(took) / len(took), params))
+        out.append((workload, variant, "rows_per_s", n * len(took) / sum(took), params))
         same = agreement(want, run()).first()
+        out.append((workload, variant, "model_gap", model.diff(own), params))
         out.append((workload, variant, "agreement", same.equal / max(1, same.n_rows), params))
-        counted = {"expanded": "expanded", "staged": "staged", "matrix": "matrix"}.get(strategy, "tiled_full")
+        counted = {"lane_by_dimension": "lane_by_dimension", "expanded": "expanded", "staged": "staged", "matrix": "matrix"}.get(strategy, "tiled_full")
         out.append((workload, variant, "operations", float(cost.counters(n, config.dim, config.chunks, config.k, counted)["arithmetic"]), params))
+    want.unpersist()
     return out
 
 
-BOTH = {"baseline": LADDER["baseline"], "staged": LADDER["+score"]}
+#: The baselines of the timed comparisons and the staged engine.
+AGAINST = {"lane_by_dimension": ("lane_by_dimension", {}), "matrix": ("matrix", {}), "expanded": ("expanded", {}), "staged": ("staged", {})}
 
 
 def w1_index_time(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -87,18 +112,19 @@ def w1_index_time(spark: SparkSession, sf_dir: str) -> DataFrame:
     df, dim = _rows(spark, sf_dir, "emb64")
     out = []
     for width in (32, 16, 8, 4):
-        config = PQConfig(dim=dim, width=width, k=16, iterations=3)
+        config = PQConfig(dim=dim, width=width, iterations=3)
         _, _, _, took = index.build(df, config)
         p = {"bits": str(config.chunks * config.bits)}
         out += [("w1", "staged", f"{stage}_s", t, p) for stage, t in took.items()]
         out.append(("w1", "staged", "share", (took["train"] + took["encode"]) / sum(took.values()), p))
+    df.unpersist()
     return spark.createDataFrame(out, MEASURED)
 
 
 def w2_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Candidates and queries a second at a recall of 0.95, by code size and corpus size."""
     out = []
-    for times in (1, 4):
+    for times in (1, 10):
         df = vectors.replicate(vectors.collection("emb64", spark, sf_dir).select("vec_id", "embedding"), times, 0.05).persist()
         q = df.filter("vec_id % 20 = 0")
         truth = search.exact(q, df).persist()
@@ -121,9 +147,9 @@ def w3_all_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Baseline against the staged engine on every collection."""
     out = []
     for name, options, width in (("emb64", {}, 16), ("emb_ladder", {"dim": 128}, 16), ("doc_hash", {"dim": 256}, 16), ("page_hash", {"dim": 256}, 16), ("line_feat", {}, 8), ("cust_profile", {}, 16), ("user_hours", {}, 8)):
-        df, dim = _rows(spark, sf_dir, name, **options)
-        config = PQConfig(dim=dim, width=width, k=16, iterations=2, sample=2000, split="even" if dim % width == 0 else "pad")
-        out += _measure("w3", df, config, BOTH, {"set": name, "dim": str(dim)})
+        df, dim = _rows(spark, sf_dir, name, ENOUGH, **options)
+        config = PQConfig(dim=dim, width=width, iterations=2, split="even" if dim % width == 0 else "pad")
+        out += _measure("w3", df, config, AGAINST, {"set": name, "dim": str(dim)})
         df.unpersist()
     return spark.createDataFrame(out, MEASURED)
 
@@ -136,10 +162,10 @@ def w4_tradeoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = []
     for width in (16, 8, 4, 2):
         for strategy in ("expanded", "staged"):
-            model, codes, _, took = index.build(df, PQConfig(dim=dim, width=width, k=16, iterations=3), strategy, graph=False)
+            model, codes, _, took = index.build(df, PQConfig(dim=dim, width=width, iterations=3), strategy, graph=False)
             found = search.rerank(search.adc(q, codes, model, 100), q, df)
             r = search.recall(found, truth, 10).agg(F.avg("recall")).first()[0]
-            p = {"bits": str(64 // width * 4)}
+            p = {"bits": str(64 // width * 8)}
             out += [("w4", strategy, "build_s", sum(took.values()), p), ("w4", strategy, "recall", float(r), p)]
     return spark.createDataFrame(out, MEASURED)
 
@@ -148,34 +174,41 @@ def _sweep(workload: str, sets: tuple, configs: Callable[[int], list[PQConfig]],
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         out = []
         for name, options in sets:
-            df, dim = _rows(spark, sf_dir, name, **options)
+            df, dim = _rows(spark, sf_dir, name, ENOUGH, **options)
             for config in configs(dim):
-                out += _measure(workload, df, config, BOTH, {"set": name, **label(config)})
+                out += _measure(workload, df, config, AGAINST, {"set": name, **label(config)})
             df.unpersist()
         return spark.createDataFrame(out, MEASURED)
 
     return run
 
 
-w5_code_size = _sweep("w5", (("emb64", {}), ("doc_hash", {"dim": 256})), lambda dim: [PQConfig(dim=dim, width=w, k=16, iterations=1, sample=1000) for w in (32, 16, 8, 4)], lambda c: {"chunks": str(c.chunks)})
-w6_codebook_size = _sweep("w6", (("emb64", {}), ("doc_hash", {"dim": 256})), lambda dim: [PQConfig(dim=dim, width=16, k=k, iterations=1, sample=1000) for k in (16, 64, 256)], lambda c: {"k": str(c.k)})
-w7_dimension = _sweep("w7", tuple(("emb_ladder", {"dim": n}) for n in (128, 192, 256)), lambda dim: [PQConfig(dim=dim, width=16, k=64, iterations=1, sample=1000)], lambda c: {"dim": str(c.dim)})
+w5_code_size = _sweep("w5", (("emb64", {}), ("doc_hash", {"dim": 256})), lambda dim: [PQConfig(dim=dim, width=w, iterations=1) for w in (32, 16, 8, 4)], lambda c: {"chunks": str(c.chunks)})
+w6_codebook_size = _sweep("w6", (("emb64", {}), ("doc_hash", {"dim": 256})), lambda dim: [PQConfig(dim=dim, width=16, k=k, iterations=1) for k in (16, 64, 256, 1024)], lambda c: {"k": str(c.k)})
+w7_dimension = _sweep("w7", tuple(("emb_ladder", {"dim": n}) for n in (128, 192, 256)), lambda dim: [PQConfig(dim=dim, width=16, iterations=1)], lambda c: {"dim": str(c.dim)})
 
 
 def w8_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each component added in turn."""
     out = []
-    for name, options, width in (("emb_ladder", {"dim": 256}, 16), ("doc_hash", {"dim": 256}, 16)):
-        df, dim = _rows(spark, sf_dir, name, **options)
-        out += _measure("w8", df, PQConfig(dim=dim, width=width, k=256, iterations=1, sample=1000), LADDER, {"set": name})
+    for name, options in (("emb_ladder", {"dim": 256}), ("doc_hash", {"dim": 256}), ("emb64", {})):
+        df, dim = _rows(spark, sf_dir, name, PLENTY, **options)
+        out += _measure("w8", df, PQConfig(dim=dim, width=16, iterations=1), LADDER, {"set": name}, RUNS if dim < 100 else 2)
         df.unpersist()
     return spark.createDataFrame(out, MEASURED)
 
 
 def w9_counters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Stand-ins for hardware counters: counted operations and live score bytes."""
-    n = vectors.table(spark, sf_dir, "embeddings").count()
-    out = [("w9", s, name, float(v), {}) for s in cost.STRATEGIES for name, v in cost.counters(n, 64, 4, 256, s).items() if name in ("arithmetic", "live_score_bytes", "codebook_switches")]
+    """Stand-ins for hardware counters: what the system counts for the kernels, beside counted operations and live score bytes."""
+    df, dim = _rows(spark, sf_dir, "emb_ladder", ENOUGH, dim=256)
+    config = PQConfig(dim=dim, width=16, iterations=1)
+    model, n = train.lloyd(df, config), df.count()
+    out = []
+    for strategy in ("lane_by_dimension", "matrix", "expanded", "staged"):
+        told = encode.profiled(df, model, strategy).agg(F.sum("cpu_s").alias("cpu_s"), F.sum("faults").alias("page_faults"), F.sum("switches").alias("context_switches"), F.max("peak_mb").alias("peak_mb")).first().asDict()
+        out += [("w9", strategy, name, float(v), {"set": "emb_ladder"}) for name, v in told.items()]
+        out += [("w9", strategy, name, float(v), {"set": "emb_ladder"}) for name, v in cost.counters(n, dim, config.chunks, config.k, strategy).items() if name in ("arithmetic", "live_score_bytes", "codebook_switches")]
+    df.unpersist()
     return spark.createDataFrame(out, MEASURED)
 
 
@@ -205,9 +238,9 @@ def w12_width(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def w13_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Time and live bytes by block size."""
-    df, dim = _rows(spark, sf_dir, "doc_hash", dim=256)
+    df, dim = _rows(spark, sf_dir, "doc_hash", ENOUGH, dim=256)
     variants = {f"block {b}": ("staged", {"block_rows": b}) for b in (256, 1024, 4096, 1 << 20)}
-    return spark.createDataFrame(_measure("w13", df, PQConfig(dim=dim, width=16, k=64, iterations=1, sample=1000), variants, {}), MEASURED)
+    return spark.createDataFrame(_measure("w13", df, PQConfig(dim=dim, width=16, iterations=1), variants, {}), MEASURED)
 
 
 def w14_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
