@@ -115,8 +115,8 @@ def _ranked(model: PQModel) -> list[Ranked]:
             _, first = np.unique(book, axis=0, return_index=True)
             again = np.ones(len(book), bool)
             again[first] = False  # a centroid that is there already never wins, since ties go to the smaller number
-            factors = np.concatenate([-moved.T, np.where(again, np.inf, bias)[None]]).astype(np.float32)
-            factors[:, again] = np.r_[np.zeros(book.shape[1]), np.inf][:, None]
+            factors = np.concatenate([-moved.T, np.where(again, 0.0, bias)[None]]).astype(np.float32)
+            factors[:, again] = np.r_[np.zeros(book.shape[1]), 1e38][:, None]  # beyond any score, and finite for the product
             out.append(Ranked(mean, np.ascontiguousarray(factors), book, np.where(again, np.inf, 0.5 * (book * book).sum(axis=1)), float(np.sqrt(2 * bias.max())), float(bias.max())))
         model.tables["ranked"] = out
     return model.tables["ranked"]
@@ -171,13 +171,13 @@ def encode(
     """
     m = model.chunks
     out = np.zeros((len(x), m), np.int16 if model.k <= 1 << 15 else np.int32)
-    if strategy == "staged" and precision == "checked" and score is None and tile is None and order in (None, "block_chunk") and accumulate == "gemm" and center == "auto" and 1e-18 < model.spread < 1e18:
+    if strategy == "staged" and precision == "checked" and score is None and tile is None and order in (None, "block_chunk") and accumulate == "gemm" and center == "auto" and 1e-16 < model.spread < 1e16:
         step, work = max(64, min(block_rows, TILE_SCORES // model.k)), {}
         chunks = _ranked(model)
         for a in range(0, len(x), step):
             block = x[a : a + step]
             top = np.abs(block).max(initial=0.0)
-            if top < 1e18:
+            if top < 1e16:
                 for j in range(m):
                     out[a : a + step, j] = ranked(piece(block, model, j), chunks[j], work)
             else:

@@ -115,3 +115,60 @@ def test_rows_past_the_watermark_are_dropped(spark, tmp_path):
     got = streams.settled(streams.drift(read), str(tmp_path), ["start"]).selectExpr("unix_seconds(start) AS s", "n", "mean_sse").collect()
     # Spark drops by the watermark of the batch before the last: day 1 is late, day 10 (open until day 11 less an hour) is not
     assert {r.s // day: (r.n, r.mean_sse) for r in got} == {10: (3, 13 / 3), 11: (2, 3.0)}
+
+
+def test_checked_ranking_settles_near_ties():
+    """Rows half-way between centroids, repeated centroids, and offsets that 32-bit floats can't carry: codes of the definition."""
+    rng = np.random.default_rng(3)
+    for offset, spread in ((0, 1), (1000, 1), (0, 1e-6), (1e5, 0.01), (0, 1e12), (0, 1e30)):
+        book = rng.normal(size=(40, 4)) * spread + offset
+        book[7], book[20] = book[3], book[3]
+        x = np.concatenate([(book[rng.integers(0, 40, 400)] + book[rng.integers(0, 40, 400)]) / 2, book])
+        model = PQModel(PQConfig(dim=4, width=4, k=40), [book])
+        far = ((x[:, None, :] - book[None]) ** 2).sum(axis=2)
+        code = kernels.encode(x, model)[:, 0]
+        # half-way rows tie but for 64-bit rounding, which alone may choose between their two centroids
+        assert (far[np.arange(len(x)), code] - far.min(axis=1) <= 1e-13 * (np.abs(x).max() + np.abs(book).max()) ** 2).all()
+        assert (code[-40:] == np.where(np.isin(np.arange(40), [7, 20]), 3, np.arange(40))).all()
+
+
+def test_more_centroids_than_a_smallint_holds(spark):
+    model = PQModel(PQConfig(dim=1, width=1, k=40_000), [np.arange(40_000.0)[:, None]])
+    df = spark.createDataFrame([(1, [39_999.0]), (2, [33_000.2])], "vec_id long, embedding array<double>")
+    got = encode.encode(df, model, out="both")
+    assert got.schema["codes"].dataType.simpleString() == "array<int>" and sorted(r.codes[0] for r in got.collect()) == [33_000, 39_999]
+    codes = np.array([[40_000], [65_535]], np.int32)
+    assert (kernels.unpack(kernels.pack(codes, 16), 1, 16) == codes).all()
+
+
+@pytest.mark.parametrize("strategy", ["staged", "relational", "hof", "flat_expr", "scalar_udf", "lane_by_dimension"])
+def test_bad_rows_are_treated_alike(spark, strategy):
+    rows = [(1, [0.0] * 4), (2, None), (3, [1.0]), (4, [1.0, None, 0.0, 0.0]), (5, [float("nan")] * 4), (6, [4.0, 0.0, 5.0, 5.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    want = {1: [0, 0], 6: [1, 1]}
+    assert {r.vec_id: r.codes for r in encode.encode(df, MODEL, strategy).collect()} == want
+    assert {r.vec_id: r.codes for r in encode.encode(df, MODEL, strategy, on_bad="null_code").collect()} == want | dict.fromkeys((2, 3, 4, 5))
+    with pytest.raises(Exception):  # noqa: B017
+        encode.encode(df, MODEL, strategy, on_bad="fail").collect()
+
+
+def test_training_on_large_values_does_not_overflow(spark):
+    x = np.random.default_rng(1).normal(size=(6000, 4)) * 1e9
+    df = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "vec_id long, embedding array<double>")
+    model = train.lloyd(df, PQConfig(dim=4, width=4, k=4, iterations=4, init="first"))
+    assert all(a >= b > 0 for a, b in zip(model.inertia, model.inertia[1:], strict=False))
+
+
+def test_models_are_saved_and_loaded(spark, tmp_path):
+    MODEL.save(spark, str(tmp_path / "m"))
+    assert PQModel.load(spark, str(tmp_path / "m")).diff(MODEL) == 0
+
+
+def test_adc_at_its_own_k_equals_all_pairs(spark):
+    e = catalog.rows(spark, SF)
+    model = catalog.first_k(spark, SF)
+    codes = encode.encode(e, model)
+    q = e.filter("vec_id % 20 = 0")
+    few, all_ = search.adc(q, codes, model, 5), search.adc(q, codes, model, 10**6)
+    want = {(r.query_id, r.rank): r.vec_id for r in all_.filter("rank <= 5").collect()}
+    assert {(r.query_id, r.rank): r.vec_id for r in few.collect()} == want
