@@ -15,9 +15,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pqspark import oracle, relops, workloads
+from pqspark.functions import sql as sql_functions
 from pqspark.model import PQConfig, PQModel
 from pqspark.operators import encode, index, layout, search, train, vectors
 from pqspark.plans import cost
+from pqspark.sources import tables
 from pqspark.streaming import streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -444,6 +446,58 @@ def _(s, d):
     return shown(s.read.parquet(f"{path}/codes/v={last}"))
 
 
+@register("stream_stream_join", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'purchase' AND a.event_id <> b.event_id AND a.ts BETWEEN b.ts - INTERVAL 1 HOUR AND b.ts + INTERVAL 1 HOUR")
+def _(s, d):
+    """Events and purchases, both as streams: what else a user did within an hour of a purchase."""
+    path = work_folder(s)
+    e = vectors.table(s, d, "events").select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), "event_type")
+    e.repartition(2).write.parquet(f"{path}/in")
+    read = lambda: streams.read(s, f"{path}/in", "event_id long, user_id long, ts timestamp, event_type string")
+    bought = read().filter("event_type = 'purchase'").select("user_id", F.col("event_id").alias("b"), F.col("ts").alias("ts_right"))
+    made = streams.near_in_time(read().select("user_id", F.col("event_id").alias("a"), "ts"), bought, "user_id", late="3650 days").filter("a <> b").select("a", "b")
+    return streams.settled(made, path, [], "append")
+
+
+# ------------------------------------------------------------------- tables
+
+
+@register("table_formats", f"WITH {oracle.base()}, made AS ({oracle.CODES}) SELECT kind, vec_id, codes FROM made, (VALUES ('json'), ('orc'), ('parquet')) f(kind)")
+def _(s, d):
+    """The codes written in three formats, each table replaced once by itself, and read with a declared schema."""
+    path, codes, out = work_folder(s), encode.encode(rows(s, d), first_k(s, d)).select("vec_id", F.col("codes").cast("array<bigint>").alias("codes")), []
+    for kind in ("json", "orc", "parquet"):
+        tables.write(codes, f"{path}/{kind}", kind)
+        tables.write(tables.read(s, f"{path}/{kind}", "vec_id long, codes array<bigint>", kind), f"{path}/{kind}", kind)
+        out.append(shown(tables.read(s, f"{path}/{kind}", "vec_id long, codes array<bigint>", kind)).withColumn("kind", F.lit(kind)))
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
+@register("scan_partitioned", f"WITH {oracle.rows()}, {oracle.cut(64)}, {oracle.book(8)}, {oracle.scored()}, {oracle.WON} SELECT vec_id, centroid AS list FROM codes WHERE centroid IN (1, 3)")
+def _(s, d):
+    """Rows in folders by coarse list; a scan of two lists opens two folders."""
+    path = f"{work_folder(s)}/lists"
+    made = encode.encode(rows(s, d), first_k(s, d, 64, 8)).select("vec_id", F.get("codes", F.lit(0)).cast("int").alias("list"))
+    tables.write_lists(made, path)
+    return tables.scan_lists(s, path, [1, 3])
+
+
+@register("coarse_probes", f"WITH {oracle.rows()}, {oracle.cut(64)}, {oracle.book(8)}, {oracle.scored()} SELECT vec_id AS query_id, centroid AS list FROM sc WHERE vec_id % 20 = 0 QUALIFY row_number() OVER (PARTITION BY vec_id ORDER BY score, centroid) <= 2")
+def _(s, d):
+    return index.probes(queries_of(rows(s, d)), first_k(s, d, 64, 8), 2)
+
+
+@register("sort_codes", f"WITH {oracle.base()} {oracle.CODES}")
+def _(s, d):
+    return shown(tables.sort_codes(encode.encode(rows(s, d), first_k(s, d))))
+
+
+@register("udtf_chunks", f"WITH {oracle.base()} SELECT vec_id, chunk, centroid AS code FROM codes")
+def _(s, d):
+    """Codes by the table function, one row a chunk."""
+    sql_functions.register(s, first_k(s, d))
+    return s.sql("SELECT vec_id, chunk, code FROM {e}, LATERAL pq_chunks(embedding)", e=rows(s, d))
+
+
 # ------------------------------------------------------ the rest by their own
 
 

@@ -1,4 +1,4 @@
-"""Functions for SQL users, bound to a model: pq_encode, pq_decode and the aggregate vector_mean."""
+"""Functions for SQL users, bound to a model: pq_encode, pq_decode, the aggregate vector_mean and the table function pq_chunks."""
 
 from __future__ import annotations
 
@@ -12,7 +12,10 @@ from pqspark.model import PQModel
 
 
 def register(spark: SparkSession, model: PQModel) -> None:
-    """Register pq_encode(vector) -> codes and pq_decode(codes) -> vector for this model; null in, null out."""
+    """Register pq_encode(vector) -> codes and pq_decode(codes) -> vector for this model; null in, null out.
+
+    pq_chunks(vector) is a table of (chunk, code), without rows for null; use it as LATERAL pq_chunks(column).
+    """
 
     @F.pandas_udf("array<smallint>")
     def pq_encode(v: pd.Series) -> pd.Series:
@@ -32,5 +35,11 @@ def register(spark: SparkSession, model: PQModel) -> None:
     def vector_mean(v: pd.Series) -> list:
         return np.stack(v.to_numpy()).astype(np.float64).mean(axis=0).tolist()
 
+    class Chunks:
+        def eval(self, v):
+            if v is not None:
+                yield from enumerate(kernels.encode(np.array([v], np.float64), model)[0].tolist())
+
+    spark.udtf.register("pq_chunks", F.udtf(Chunks, returnType="chunk int, code int"))
     for name, f in (("pq_encode", pq_encode), ("pq_decode", pq_decode), ("vector_mean", vector_mean)):
         spark.udf.register(name, f)

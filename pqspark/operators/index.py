@@ -26,6 +26,13 @@ def coarse(df: DataFrame, nlist: int, iterations: int = 5, init: str = "hash", d
     return model, encode.encode(df, model).select("vec_id", F.get("codes", F.lit(0)).cast("int").alias("list"))
 
 
+def probes(queries: DataFrame, model: PQModel, nprobe: int) -> DataFrame:
+    """(query_id, list): each query's nearest lists."""
+    scored = encode.scored_rows(queries, model)
+    nearest = F.slice(F.array_sort(F.collect_list(F.struct("score", "centroid"))), 1, nprobe)
+    return scored.groupBy(F.col("vec_id").alias("query_id")).agg(F.transform(nearest, lambda s: s.centroid.cast("int")).alias("lists")).select("query_id", F.explode("lists").alias("list"))
+
+
 def pruned(x: np.ndarray, point: int, candidates: list[tuple[float, int]], degree: int, alpha: float) -> list[int]:
     """Nearest first; one that a kept neighbour is closer to, by the factor, is left out."""
     kept: list[int] = []

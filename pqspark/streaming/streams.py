@@ -99,6 +99,13 @@ def with_static(stream: DataFrame, static: DataFrame, key: str) -> DataFrame:
     return stream.join(static, key)
 
 
+def near_in_time(left: DataFrame, right: DataFrame, key: str, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """Pairs of two streams' rows of equal key whose times, ts and ts_right, lie within a span; older rows leave the state by the watermark."""
+    a, b = left.withWatermark("ts", late), right.withWatermark("ts_right", late)
+    span = F.expr(f"ts BETWEEN ts_right - INTERVAL {within} AND ts_right + INTERVAL {within}")
+    return a.join(b.withColumnRenamed(key, "_key"), (F.col(key) == F.col("_key")) & span).drop("_key")
+
+
 def running_counts(codes: DataFrame) -> DataFrame:
     """(chunk, code, n) of a stream of codes, counted on in per-chunk state."""
 

@@ -3,6 +3,7 @@
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from pqspark import catalog
 from pqspark.functions import kernels
@@ -172,3 +173,26 @@ def test_adc_at_its_own_k_equals_all_pairs(spark):
     few, all_ = search.adc(q, codes, model, 5), search.adc(q, codes, model, 10**6)
     want = {(r.query_id, r.rank): r.vec_id for r in all_.filter("rank <= 5").collect()}
     assert {(r.query_id, r.rank): r.vec_id for r in few.collect()} == want
+
+
+def test_tables_are_checked_replaced_and_clustered(spark, tmp_path):
+    from pqspark.sources import tables
+
+    path = f"{tmp_path}/t"
+    made = spark.range(100).select(F.col("id").alias("vec_id"), (F.col("id") % 3).cast("int").alias("list"))
+    tables.write_lists(made, path)
+    tables.write_lists(spark.read.parquet(path).filter("list > 0"), path)
+    assert tables.scan_lists(spark, path, [0, 1]).count() == 33
+    assert [p.name for p in tmp_path.iterdir()] == ["t"]
+    with pytest.raises(ValueError, match="vec_id: bigint instead of int"):
+        tables.read(spark, path, "vec_id int")
+    with pytest.raises(ValueError, match="missing"):
+        tables.read(spark, path, "embedding array<float>")
+    codes = spark.range(200).select(F.col("id").alias("vec_id"), F.array((F.col("id") % 7).cast("smallint")).alias("codes"))
+    parts = tables.sort_codes(codes).select(F.spark_partition_id().alias("p"), "codes", "vec_id").collect()
+    by_part = {}
+    for r in parts:
+        by_part.setdefault(r.p, []).append((r.codes, r.vec_id))
+    assert all(v == sorted(v) for v in by_part.values())
+    ends = sorted((v[0], v[-1]) for v in by_part.values())
+    assert all(a[1] < b[0] for a, b in zip(ends, ends[1:], strict=False))
