@@ -11,6 +11,10 @@ from pqspark.llm import jaccard_join, line_dedup, packing, pfair, toxicity
 from pqspark.llm.common import fresh_path
 
 
+#: Columns that hold a row's place in the mix.
+PLACES = ("mix_slot", "mix_row")
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that score as toxic go."""
     return toxicity.kept(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
@@ -29,13 +33,13 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows are put in the order that gives each source its target weight; none goes."""
-    return pfair.interleaved(docs)
+    """Rows are put in the order that gives each source its target weight, and keep their places in it; none goes."""
+    return pfair.interleaved(docs, places=PLACES)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Places of all documents' pieces in sequences of fixed length."""
-    return packing.packed(docs)
+    """Places of all documents' pieces in sequences of fixed length, shard by shard in the order of the mix."""
+    return packing.packed(docs, order=PLACES)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [

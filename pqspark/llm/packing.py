@@ -12,6 +12,7 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from pqspark.llm.common import matched, often, stored
 
@@ -95,14 +96,24 @@ def pack(pieces: list[tuple], capacity: int) -> list[tuple[int, int]]:
 SCHEMA = "doc_id long, piece int, start long, length int, shard int, bin int, bin_offset int"
 
 
-def _shard_rows(capacity: int, most: int):
+def _in_runs(light: DataFrame, order: tuple[str, ...], shard_rows: int) -> DataFrame:
+    """light with a shard: runs of the first column of order, a long, of shard_rows rows or so; only the counts of its ranges are put in sequence."""
+    span = max(1, shard_rows // 16)
+    ranged = light.withColumns({c: F.coalesce(c, F.lit(0)) for c in order}).withColumn("range", F.floor(F.col(order[0]) / span))
+    counts = ranged.groupBy("range").agg(F.count("*").alias("n"))
+    before = F.sum("n").over(Window.orderBy("range")) - F.col("n")  # a row for each range
+    runs = stored(counts.select("range", F.floor(before / shard_rows).cast("int").alias("shard")), "runs")
+    return matched(ranged, runs, "range").drop("range")
+
+
+def _shard_rows(capacity: int, most: int, order: tuple[str, ...] = ()):
     def rows(table: pa.Table) -> pa.Table:
-        docs = sorted(zip(*(table.column(c).to_pylist() for c in ("doc_id", "source", "cluster", "tokens", "shard")), strict=True), key=lambda r: (r[0] is None, r[0] or 0, str(r[1]), r[2] or 0, r[3]))
+        docs = sorted(zip(*(table.column(c).to_pylist() for c in ("doc_id", "source", "cluster", "tokens", "shard", *order)), strict=True), key=lambda r: (*r[5:], r[0] is None, r[0] or 0, str(r[1]), r[2] or 0, r[3]))
         out: list[tuple] = []
         first = 0
         for at in range(0, len(docs), most):
             pieces = []
-            for n, (doc_id, source, cluster, tokens, shard) in enumerate(docs[at : at + most]):
+            for n, (doc_id, source, cluster, tokens, shard, *_) in enumerate(docs[at : at + most]):
                 for piece, start in enumerate(range(0, tokens, capacity)):
                     pieces.append((min(capacity, tokens - start), source, cluster, n, piece, doc_id, start, shard))
             got = pack(pieces, capacity)
@@ -120,7 +131,7 @@ def word_tokens(text: str = "text") -> Column:
     return F.regexp_count(F.coalesce(F.col(text), F.lit("")), F.lit(r"\S+")).cast("long") + 1
 
 
-def packed(docs: DataFrame, tokens: Column | None = None, cluster: Column | None = None, capacity: int = CAPACITY, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def packed(docs: DataFrame, tokens: Column | None = None, cluster: Column | None = None, capacity: int = CAPACITY, shard_rows: int = SHARD_ROWS, order: tuple[str, ...] = ()) -> DataFrame:
     """One row per piece of a document: (doc_id, piece, start, length, shard, bin, bin_offset).
 
     A document longer than a bin is cut into full bins and a rest.  No bin holds
@@ -132,11 +143,17 @@ def packed(docs: DataFrame, tokens: Column | None = None, cluster: Column | None
     their own, which conflict by cluster; where one comes more often than a shard
     has rows, its rows are dealt by chance.  Other columns are not read; an empty
     table gives an empty result.
+
+    With order, names of columns of whole numbers, shards are runs of that order
+    in place of hashes, shard after shard, and pieces of equal length are placed
+    in it.  The first is a slot, of which sixteen rows or so share a number.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     tokens = tokens if tokens is not None else word_tokens()
     cluster = cluster if cluster is not None else F.when(text != "", F.xxhash64(text))
-    light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", cluster.alias("cluster"), F.greatest(tokens, F.lit(1)).cast("long").alias("tokens"))
+    light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", cluster.alias("cluster"), F.greatest(tokens, F.lit(1)).cast("long").alias("tokens"), *order)
+    if order:
+        return _in_runs(light, order, shard_rows).groupBy("shard").applyInArrow(_shard_rows(capacity, 2 * shard_rows, order), SCHEMA)
     shards = max(1, -(-docs.count() // shard_rows))
     light = light.withColumn("key", F.xxhash64("doc_id", "source", "cluster"))
     repeats = often(light, "key", shard_rows)

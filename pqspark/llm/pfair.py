@@ -115,11 +115,14 @@ def mixed(docs: DataFrame, weights: DataFrame | None = None, source: str = "sour
     )
 
 
-def interleaved(docs: DataFrame, weights: DataFrame | None = None, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """docs in the order of the mix, whatever their columns: files in sequence, and rows within them, follow (slot, row_in_block)."""
+def interleaved(docs: DataFrame, weights: DataFrame | None = None, block_rows: int = BLOCK_ROWS, places: tuple[str, ...] = ()) -> DataFrame:
+    """docs in the order of the mix, whatever their columns: files in sequence, and rows within them, follow (slot, row_in_block).
+
+    places: names under which these two go along, for a later stage that reads rows in no order.
+    """
     whole = docs.select(F.struct(*docs.columns).alias("whole"), F.col("doc_id"), F.col("source"))
     placed = mixed(whole, weights, block_rows=block_rows)
-    return placed.repartitionByRange("slot", "row_in_block").sortWithinPartitions("slot", "row_in_block").select(*(F.col("whole").getField(c).alias(c) for c in docs.columns))
+    return placed.repartitionByRange("slot", "row_in_block").sortWithinPartitions("slot", "row_in_block").select(*(F.col("whole").getField(c).alias(c) for c in docs.columns if c not in places), *(F.col(c).alias(to) for c, to in zip(("slot", "row_in_block"), places)))
 
 
 ORACLE = f"""
