@@ -91,6 +91,38 @@ def test_jaccard_cuts_large_blocks_by_size(spark):
     assert sorted((r.doc_id, r.component_id) for r in got) == want
 
 
+@pytest.mark.parametrize("num,den", [(85, 100), (4, 5), (1, 2)])
+def test_similar_sets_share_a_signature_whatever_is_common(num, den):
+    rng = np.random.default_rng(5)
+    for size in [*range(1, 40), 90, 250, 700]:
+        for _ in range(12):
+            a = rng.integers(0, 1 << 64, size, np.uint64, endpoint=False)
+            differ = int(rng.integers(0, size // 2 + 2))
+            b = np.unique(np.r_[a[: size - differ // 2], rng.integers(0, 1 << 64, differ - differ // 2, np.uint64, endpoint=False)])
+            a, both = np.unique(a), len(np.intersect1d(a, b))
+            if len(a) == both == len(b) or den * both < num * (len(a) + len(b) - both):
+                continue
+            common = np.sort(rng.choice(np.union1d(a, b), int(rng.integers(0, size + 1)), replace=False)) if rng.random() < 0.8 else None
+            parts = shingles.Parts(num, den, common)
+            x, y = parts.signatures(a), parts.signatures(b)
+            shared = np.intersect1d(x | np.uint64(1), y | np.uint64(1))
+            assert len(shared) and np.isin(shared, np.r_[x, y]).any()
+
+
+def test_shared_passages_tie_few_texts(spark):
+    """Texts that differ but for passages which many of them hold are not tied into one block; the same set of texts was before."""
+    rng = np.random.default_rng(7)
+    pool = [[f"p{k}x{j}" for j in range(40)] for k in range(4)]
+    texts = [" ".join(w for part in (pool[rng.integers(4)], [f"w{k}x{j}" for j in range(int(rng.integers(60, 120)))], pool[rng.integers(4)]) for w in part) for k in range(600)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    first = spark.createDataFrame([(shingles.fingerprint(s), k, len(s)) for k, s in enumerate(shingles.shingle_sets(pa.array(texts), 5))], "node long, doc_id long, size long")
+    learned = jaccard_join.common_shingles(docs, first, 5)
+    assert (np.diff(learned.astype(object)) > 0).all() and len(learned) >= 4 * 36
+    blocks = jaccard_join._blocks(docs, 5, 4, 5, common=spark.sparkContext.broadcast(learned))
+    assert max([r["count"] for r in blocks.groupBy("root").count().collect()], default=0) <= 30
+    assert all(r.component_id == r.doc_id for r in jaccard_join.jaccard_components(docs, 5, 4, 5).collect())
+
+
 def test_words_agree_over_slices(monkeypatch):
     texts = ["Aa b  Ñc\n" * 50, "", "word", " lead and trail "]
     whole = shingles.words(pa.array(texts))
